@@ -6,14 +6,22 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from edgemill.llm import bitpack, bytebpe, packing, sharding, topk, urlfilter
+from edgemill.llm import bitpack, bytebpe, jaccard, packing, pii, sharding, topk, toxicity, urlfilter
 from edgemill.llm.common import documents
 
 WORD_BPE = public_tokenizers.path("word_bpe_49k.json")
 BYTE_BPE = public_tokenizers.path("byte_bpe_50k.tiktoken")
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    model = toxicity.fit(docs, documents(spark, sf_dir, "labels"))
+    scored = toxicity.score(docs, model)
+    return scored.select("doc_id", toxicity.held_out(F.col("doc_id")).alias("held_out"), "score", "predicted", "evidence", "n_segments")
+
+
 def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(documents(spark, sf_dir), 16)
 
@@ -26,6 +34,10 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(documents(spark, sf_dir), WORD_BPE, 0, 2048)
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.report(documents(spark, sf_dir))
+
+
 def op7_urlfilter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge_urls(documents(spark, sf_dir, "pages"))
 
@@ -38,6 +50,10 @@ def op9_bytebpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bytebpe.encode_and_decode(documents(spark, sf_dir), BYTE_BPE, public_tokenizers.PATTERN)
 
 
+def op10_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.similarity_join(documents(spark, sf_dir), 0.8, 5)
+
+
 OP8_SQL = """
 WITH cells AS (
   SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(1024 * CAST(x AS DOUBLE)) AS BIGINT)) AS c FROM embeddings
@@ -51,7 +67,7 @@ SELECT query_id, "rank", vec_id, score FROM ranked WHERE "rank" <= 10"""
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_sharding, op3_bitpack, op5_packing, op7_urlfilter, op8_topk, op9_bytebpe)}
+    return {f.__name__: f for f in (op1_toxicity, op2_sharding, op3_bitpack, op5_packing, op6_pii, op7_urlfilter, op8_topk, op9_bytebpe, op10_jaccard)}
 
 
 def oracle_sql() -> dict[str, str]:
