@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from edgemill.llm import bitpack, bytebpe, jaccard, packing, pii, sharding, topk, toxicity, urlfilter
+from edgemill.llm import bitpack, bytebpe, descriptors, jaccard, packing, pii, sharding, topk, toxicity, urlfilter
 from edgemill.llm.common import documents
 
 WORD_BPE = public_tokenizers.path("word_bpe_49k.json")
@@ -30,6 +30,11 @@ def op3_bitpack(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bitpack.read_packed(bitpack.write_packed(documents(spark, sf_dir), WORD_BPE, 2))
 
 
+def op4_descriptors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    media = descriptors.materialise(descriptors.media_of_embeddings(documents(spark, sf_dir, "embeddings")), "media")
+    return descriptors.find_copies(media)
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(documents(spark, sf_dir), WORD_BPE, 0, 2048)
 
@@ -67,7 +72,7 @@ SELECT query_id, "rank", vec_id, score FROM ranked WHERE "rank" <= 10"""
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_toxicity, op2_sharding, op3_bitpack, op5_packing, op6_pii, op7_urlfilter, op8_topk, op9_bytebpe, op10_jaccard)}
+    return {f.__name__: f for f in (op1_toxicity, op2_sharding, op3_bitpack, op4_descriptors, op5_packing, op6_pii, op7_urlfilter, op8_topk, op9_bytebpe, op10_jaccard)}
 
 
 def oracle_sql() -> dict[str, str]:

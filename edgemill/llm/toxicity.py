@@ -338,3 +338,18 @@ def toxic_segments(docs: DataFrame, model: ToxicModel, most_e: float = 0.01) ->
             yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("doc_id", pa.int64()), ("start", pa.int32()), ("end", pa.int32()), ("segment_score", pa.float64()), ("e_value", pa.float64()), ("passage", pa.string())]))
 
     return id_and_text(docs).mapInArrow(run, SEGMENT_SCHEMA)
+
+
+def keep_clean(docs: DataFrame, model: ToxicModel, threshold: float = THRESHOLD, text_col: str = "text") -> DataFrame:
+    """The rows whose score is below the threshold, with all their columns; one narrow pass."""
+    spark = docs.sparkSession
+    ship_package(spark)
+    shared = spark.sparkContext.broadcast(model)
+    at = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            evidence, _, _ = scan(shared.value, batch.column(at))
+            yield batch.filter(pa.array(shared.value.probability(evidence) < threshold))
+
+    return docs.mapInArrow(run, docs.schema)
