@@ -67,12 +67,12 @@ def owner_gini(edges: DataFrame, layout: Layout) -> DataFrame:
     counts = with_owner(edges, layout).groupBy("bucket").agg(F.count(F.lit(1)).alias("c"))
     every = spark.range(layout.nb).select(F.col("id").cast("int").alias("bucket")).join(counts, "bucket", "left").select(F.coalesce("c", F.lit(0)).alias("c"))
 
-    @F.pandas_udf("double")
-    def gini(c: pd.Series) -> float:
+    def gini(c):
         x = c.sort_values().to_numpy(dtype=float)
         return float((2 * (range(1, len(x) + 1) * x).sum() / x.sum() - (len(x) + 1)) / len(x)) if x.sum() else 0.0
 
-    return every.agg(gini("c").alias("gini"))
+    gini.__annotations__ = {"c": pd.Series, "return": float}  # a grouped aggregate, told by its types
+    return every.agg(F.pandas_udf(gini, "double")("c").alias("gini"))
 
 
 def edge_locality(edges: DataFrame, layout: Layout) -> DataFrame:

@@ -130,6 +130,24 @@ def merge_trace(edges: DataFrame, layout: Layout, endpoint: str = "dst") -> Data
     return chunk_edges(edges, layout.chunk_edges).groupBy("chunk", owner_of(F.col(endpoint), layout.n, layout.nb).alias("turn")).agg(F.count(F.lit(1)).alias("consumed"))
 
 
+def _filling(endpoint: str):
+    """A cogroup function that indexes a range's labels by the ends of its edges."""
+    import pyarrow as pa
+
+    def fill(left: pa.Table, right: pa.Table) -> pa.Table:
+        import numpy as np
+
+        if not left.num_rows:
+            return pa.table({c: pa.array([], pa.int64()) for c in ("eid", "src", "dst")})
+        ids, labels = right.column("id").to_numpy(), right.column("label").to_numpy()
+        lo = int(ids.min())
+        dense = np.full(int(ids.max()) - lo + 1, -1)
+        dense[ids - lo] = labels
+        return pa.table({c: pa.array(dense[left.column(c).to_numpy() - lo]) if c == endpoint else left.column(c) for c in ("eid", "src", "dst")})
+
+    return fill
+
+
 def relabel_gather(edges: DataFrame, perm: DataFrame, layout: Layout) -> DataFrame:
     """The merge without sorting: ids are dense, so a range of labels is an array that edges index.
 
@@ -137,23 +155,13 @@ def relabel_gather(edges: DataFrame, perm: DataFrame, layout: Layout) -> DataFra
     ranges should hold at most some million edges (see Layout.for_edges). Raw ids
     crowd low ranges; skewed inputs take relabel_merge.
     """
-    import pyarrow as pa
+    from edgemill.shipping import ship_package
 
+    ship_package(edges.sparkSession)
     for endpoint in ("dst", "src"):
-        def fill(left: pa.Table, right: pa.Table, endpoint: str = endpoint) -> pa.Table:
-            import numpy as np
-
-            if not left.num_rows:
-                return pa.table({c: pa.array([], pa.int64()) for c in ("eid", "src", "dst")})
-            ids, labels = right.column("id").to_numpy(), right.column("label").to_numpy()
-            lo = int(ids.min())
-            dense = np.full(int(ids.max()) - lo + 1, -1)
-            dense[ids - lo] = labels
-            return pa.table({c: pa.array(dense[left.column(c).to_numpy() - lo]) if c == endpoint else left.column(c) for c in ("eid", "src", "dst")})
-
         a = edges.select("eid", "src", "dst", owner_of(F.col(endpoint), layout.n, layout.nb).alias("bucket")).groupBy("bucket")
         b = perm.select("id", "label", owner_of(F.col("id"), layout.n, layout.nb).alias("bucket")).groupBy("bucket")
-        edges = a.cogroup(b).applyInArrow(fill, "eid long, src long, dst long")
+        edges = a.cogroup(b).applyInArrow(_filling(endpoint), "eid long, src long, dst long")
     return edges
 
 
