@@ -204,7 +204,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 40_000, prior: float
                     begun = to[word]
                     pair = np.unique(row[begun >= 0] * max(1, len(names)) + begun[begun >= 0])
                     note(list(names), pair // max(1, len(names)), pair % max(1, len(names)), y)
-                if len(totals) > 200_000:
+                if len(totals) > 100_000:
                     yield flush()
         if totals:
             yield flush()

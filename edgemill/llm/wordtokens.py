@@ -26,7 +26,7 @@ PIECE = rf"('s|'t|'re|'ve|'m|'ll|'d|[{SYMBOLS}]+|[0-9\x{{b2}}\x{{b3}}\x{{b9}}\x{
 #: Texts that need more than lower-casing, or have other white space than these.
 UNUSUAL = r"[^\t\n\r\x20-\x7e\x{a1}-\x{24f}]|<\||\x{130}"
 #: Texts are encoded in slices of about so many bytes.
-SLICE_BYTES = 16 << 20
+SLICE_BYTES = 8 << 20
 
 
 def byte_letters() -> dict[int, str]:
@@ -78,11 +78,12 @@ def slices(texts: pa.Array, most: int = SLICE_BYTES) -> Iterator[pa.Array]:
         base = ends[at - 1] if at else 0
         to = max(at + 1, int(np.searchsorted(ends, base + most, "right")))
         yield texts.slice(at, to - at)
+        pa.default_memory_pool().release_unused()  # workers live on; what a slice took goes back before the next
         at = to
 
 
 class WordEncoder:
-    def __init__(self, path: str, memo: int = 400_000):
+    def __init__(self, path: str, memo: int = 200_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
