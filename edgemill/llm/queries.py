@@ -31,8 +31,7 @@ def op3_bitpack(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_descriptors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    media = descriptors.materialise(descriptors.media_of_embeddings(documents(spark, sf_dir, "embeddings")), "media")
-    return descriptors.find_copies(media)
+    return descriptors.find_copies(descriptors.media_of_embeddings(documents(spark, sf_dir, "embeddings")))
 
 
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
