@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from edgemill.config import Layout
 from edgemill.functions.partition import chunk_of, int_div, owner_of, range_lo
-from edgemill.functions.prng import bijective_hash_within
+from edgemill.functions.prng import bijective_hash_within, hash_constants
 from edgemill.scratch import materialise
 
 #: Largest permutation, in bytes at 16 bytes a vertex, that may be broadcast; checked before every broadcast of one.
@@ -60,8 +60,19 @@ def relabel_hash_join(edges: DataFrame, perm: DataFrame) -> DataFrame:
 
 
 def relabel_hashed(edges: DataFrame, n: int, key: int = 7, rounds: int = 4, walks: int = 12) -> DataFrame:
-    """The in-memory baseline: both ends through a collision-free hash, a projection."""
-    return edges.select("eid", *(bijective_hash_within(F.col(c), n, key, rounds, walks).alias(c) for c in ("src", "dst")))
+    """The in-memory baseline: both ends through a collision-free hash, projections only.
+
+    Where n is a power of two each half-round is a projection of its own: the planner does not
+    merge one that is used twice, so what makes the ends is computed once.
+    """
+    bits = max(0, (n - 1).bit_length())
+    if n != 1 << bits or bits == 0:
+        return edges.select("eid", *(bijective_hash_within(F.col(c), n, key, rounds, walks).alias(c) for c in ("src", "dst")))
+    mask, low, half = (1 << bits) - 1, (1 << min(bits, 24)) - 1, (bits + 1) // 2
+    for a, k in hash_constants(key, rounds):
+        edges = edges.select("eid", *((F.col(c) * F.lit((a & low) | 1) + F.lit(k & mask)).bitwiseAND(F.lit(mask)).alias(c) for c in ("src", "dst")))
+        edges = edges.select("eid", *(F.col(c).bitwiseXOR(F.shiftright(c, half)).alias(c) for c in ("src", "dst")))
+    return edges
 
 
 def relabel_unpivot(edges: DataFrame, perm: DataFrame) -> DataFrame:
