@@ -37,6 +37,9 @@ DOC_SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 stri
 SOLID = r"('s|'t|'re|'ve|'m|'ll|'d| ?[a-zA-Z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{24f}]+| ?[0-9]+| ?[!-/:-@\[-`{-~]+)"
 USUAL_ONLY = r"[^\t\n\r\x20-\x7e\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{24f}]"
 MARK = "\x00"
+#: Texts with white space after white space, or with a comma or full stop after white space or a symbol, are cut by SOLID; in all others these literal cuts are boundaries of the pattern.
+CROWDED = r"[\t\n\r ][\t\n\r ]|[\t\n\r !-/:-@\[-`{-~][,.]"
+CUTS = ((" ", MARK + " "), ("\n", MARK + "\n" + MARK), (",", MARK + ","), (".", MARK + "."))
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -50,9 +53,14 @@ class MergeTransducer:
     def __init__(self, ranks: dict[bytes, int], limit: int = 200_000):
         self.ranks, self.limit = ranks, limit
         self.words = {i: w for w, i in ranks.items()}
-        self.prefixes = {w[:k] for w in ranks for k in range(1, len(w))}
+        #: Every beginning of an entry: (the entry it is, or None; whether a longer one begins with it).
+        self.begun: dict[bytes, tuple[int | None, bool]] = {w: (i, False) for w, i in ranks.items()}
+        for w in ranks:
+            for k in range(1, len(w)):
+                self.begun[w[:k]] = (ranks.get(w[:k]), True)
         self.apart_memo: dict[tuple[int, int], bool] = {}
         self.whole_memo: dict[bytes, bool] = {}
+        self.halves_memo: dict[int, tuple[int, int] | None] = {}
         self._reset()
 
     def _reset(self) -> None:
@@ -71,10 +79,10 @@ class MergeTransducer:
             self.ends.append(None)
         return k
 
-    def merged(self, data: bytes) -> list[int]:
+    def merged(self, data: bytes, down_to: int = 1) -> list[int]:
         """Plain merging by rank, for short strings: the lowest rank first, the leftmost of equal ones."""
         parts = [data[i : i + 1] for i in range(len(data))]
-        while len(parts) > 1:
+        while len(parts) > down_to:
             ranked = [(self.ranks.get(a + b, 1 << 40), i) for i, (a, b) in enumerate(zip(parts, parts[1:]))]
             rank, i = min(ranked)
             if rank == 1 << 40:
@@ -88,35 +96,66 @@ class MergeTransducer:
             known = self.whole_memo[word] = self.merged(word) == [self.ranks[word]]
         return known
 
+    def _halves(self, token: int) -> tuple[int, int] | None:
+        """The two tokens whose merge makes this one; None for single bytes."""
+        if token not in self.halves_memo:
+            word = self.words[token]
+            parts = self.merged(word, 2) if len(word) > 1 else []
+            self.halves_memo[token] = (parts[0], parts[1]) if len(parts) == 2 else None
+        return self.halves_memo[token]
+
     def _apart(self, a: int, b: int) -> bool:
-        """Whether tokens a and b stay as they are side by side."""
+        """Whether tokens a and b stay as they are side by side.
+
+        Merges are undone at the border, the later one first. A token of both inner
+        parts that comes before the merge just undone would have been made
+        instead, so the border would not stand.
+        """
         if a < 0:
             return True
         known = self.apart_memo.get((a, b))
-        if known is None:
-            if len(self.apart_memo) > 2_000_000:
-                self.apart_memo.clear()
-            known = self.apart_memo[a, b] = self.merged(self.words[a] + self.words[b]) == [a, b]
+        if known is not None:
+            return known
+        if len(self.apart_memo) > 2_000_000:
+            self.apart_memo.clear()
+        left, right, before, known = a, b, 1 << 40, True
+        while True:
+            across = self.ranks.get(self.words[left] + self.words[right])
+            if across is not None and across < before:
+                known = False
+                break
+            in_left, in_right = self._halves(left), self._halves(right)
+            if in_left is not None and (left > right or in_right is None):
+                before, left = left, in_left[1]
+            elif in_right is not None:
+                before, right = right + 1, in_right[0]
+            else:
+                break
+        self.apart_memo[a, b] = known
         return known
 
     def _move(self, state: int, byte: int) -> tuple[int, bytes]:
         tail, live = self.keys[state]
         tail += bytes([byte])
         size, ending, kept = len(tail), None, []
+        begun = self.begun.get
         for back, path in live:
-            word = tail[size - back - 1 :]
-            token = self.ranks.get(word)
-            if ending is None and token is not None and self._reachable(word) and self._apart(path[-1], token):
+            known = begun(tail[size - back - 1 :])
+            if known is None:
+                continue
+            token, longer = known
+            if ending is None and token is not None and self._apart(path[-1], token) and self._reachable(self.words[token]):
                 ending = (*path, token)
-            if word in self.prefixes:
+            if longer:
                 kept.append((back + 1, path))
         if ending is None:
             raise ValueError("the rank file lacks a single byte")
         kept.append((0, ending))
+        # what the least and the greatest path share, all of them do
         paths = [p for _, p in kept]
-        shared = 0
-        shortest = min(map(len, paths))
-        while shared < shortest and all(p[shared] == paths[0][shared] for p in paths):
+        least, most = min(paths), max(paths)
+        shared, shortest = 0, min(len(least), len(most))
+        while shared < shortest and least[shared] == most[shared]:
             shared += 1
         shared = max(shared, 1)
         emitted = array("I", paths[0][1:shared]).tobytes()
@@ -222,21 +261,28 @@ class ByteBpe:
     def encode(self, texts: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """(ids end to end, ids of each text), slice by slice.
 
-        Usual texts (ASCII and Latin letters) are cut after each solid match with
-        Arrow; what lies between cuts is matched by the pattern itself, once per
-        distinct string. Others are matched whole.
+        Usual texts (ASCII and Latin letters) are cut with Arrow, before spaces, commas
+        and full stops and around line feeds where those stand alone, or else after each
+        solid match; what lies between cuts is matched by the pattern itself, once per distinct
+        string. Others are matched whole.
         """
         for part in slices(pc.fill_null(texts, "")):
-            odd = np.flatnonzero(pc.match_substring_regex(part, USUAL_ONLY).to_numpy(zero_copy_only=False))
-            at = 0
-            for k in [*odd.tolist(), len(part)]:
-                if k > at:
-                    marked = pc.replace_substring_regex(part.slice(at, k - at), SOLID, "\\1" + MARK)
-                    yield spread(pc.split_pattern(marked, MARK), self.pieces.__getitem__)
-                if k < len(part):
-                    ids = np.frombuffer(self.encode_text(part[k].as_py()), "<u4")
-                    yield ids, np.array([len(ids)])
-                at = k + 1
+            kind = pc.match_substring_regex(part, CROWDED).to_numpy(zero_copy_only=False).astype(np.int8)
+            kind[pc.match_substring_regex(part, USUAL_ONLY).to_numpy(zero_copy_only=False)] = 2
+            bounds = np.flatnonzero(np.diff(kind)) + 1
+            for lo, hi in zip([0, *bounds.tolist()], [*bounds.tolist(), len(kind)]):
+                run = part.slice(lo, hi - lo)
+                if kind[lo] == 2:
+                    for text in run.to_pylist():
+                        ids = np.frombuffer(self.encode_text(text), "<u4")
+                        yield ids, np.array([len(ids)])
+                    continue
+                if kind[lo] == 1:
+                    run = pc.replace_substring_regex(run, SOLID, "\\1" + MARK)
+                else:
+                    for old, new in CUTS:
+                        run = pc.replace_substring(run, old, new)
+                yield spread(pc.split_pattern(run, MARK), self.pieces.__getitem__)
 
     def token_bytes(self, ids: np.ndarray) -> tuple[memoryview, np.ndarray]:
         """Bytes of tokens end to end, and where each token's begin."""
