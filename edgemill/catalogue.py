@@ -479,8 +479,8 @@ def csr_roundtrip(spark, sf_dir):
     return csr.edges_from_csr(csr.csr_ordered(edges, layout))
 
 
-@entry("K7 G13", f"""{SQL_BASE}, both AS (SELECT eid * 2 AS eid, src, dst FROM relabelled UNION ALL SELECT eid * 2 + 1, dst, src FROM relabelled)
-SELECT row_number() OVER (ORDER BY src, dst, eid) - 1 AS pos, dst FROM both""")
+@entry("K7 G13", f"""{SQL_BASE}, sides AS (SELECT eid * 2 AS eid, src, dst FROM relabelled UNION ALL SELECT eid * 2 + 1, dst, src FROM relabelled)
+SELECT row_number() OVER (ORDER BY src, dst, eid) - 1 AS pos, dst FROM sides""")
 def csr_symmetric(spark, sf_dir):
     edges, layout, _ = relabelled(spark, sf_dir)
     return csr.csr_ordered(csr.prepared(edges, symmetrize=True), layout).neighbors
