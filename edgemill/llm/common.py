@@ -8,10 +8,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from edgemill.scratch import fresh_path, materialise, shared_folder
+from edgemill.scratch import discard, fresh_path, materialise, shared_folder
 from edgemill.shipping import ship_package
 
-__all__ = ["fresh_path", "materialise", "shared_folder", "ship_package", "documents", "texts_of", "frame_batches"]
+__all__ = ["discard", "fresh_path", "materialise", "shared_folder", "ship_package", "documents", "texts_of", "frame_batches"]
 
 
 def documents(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFrame:
