@@ -56,10 +56,16 @@ _PLUS = re.compile(r"(?<![A-Za-z])plus[ \t]+(?=[0-9])", re.I)
 WEAK_AT, WEAK_DOT = "\ue000", "\ue001"
 _AT_DOT = re.compile(r"\s*[\[({<]\s*(at|dot|@|\.)\s*[\])}>]\s*|(?<=[A-Za-z0-9])[ \t_]+(at|dot)[ \t_]+(?=[A-Za-z0-9])", re.I)
 _HIDDEN_MAIL = re.compile(rf"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+{WEAK_DOT}-]+[@{WEAK_AT}][A-Za-z0-9-]+(?:[.{WEAK_DOT}][A-Za-z0-9-]+)+")
-#: A text without a match holds no disguise; RE2 syntax, upper and lower case alike.
+#: What \s means to Python; RE2 knows only the ASCII ones.
+_SPACE = "\t-\r\x1c-\x20\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
+#: Letters that Python's re.I takes for an ASCII i, s or k.
+_CASE_KIN = {"\u0130": "i", "\u0131": "i", "\u017f": "s", "\u212a": "k"}
+#: A text without a match holds no disguise: one branch for every transducer, none narrower than it. A plain "at" is left out, as
+#: it shows nothing without another change. RE2 syntax, upper and lower case alike.
 MAY_HIDE = (
-    r"[\[({<]\s*(at|dot|@|\.)\s*[\])}>]|[ \t_]dot[ \t_]|\b(" + _WORDS + r")([\s-]+(" + _WORDS + r")){3}|plus[ \t]+(" + _WORDS + r")"
-    + "|[" + "".join(_FOLD) + "]"
+    "[" + "".join(_FOLD) + "".join(_CASE_KIN) + "]"
+    + rf"|(?:^|[^A-Za-z])(?:{_WORDS})(?:[^A-Za-z]|$)|plus[ \t]+[0-9]"
+    + rf"|[\[({{<][{_SPACE}]*(?:at|dot|@|\.)[{_SPACE}]*[\])}}>]|[ \t_]dot[ \t_]"
 )
 #: RE2 patterns without which a base kind cannot match.
 NEEDS = {"email": "@", "ip": r"[0-9]\.[0-9]", "card": r"[0-9](?:[ -]?[0-9]){12}", "phone": r"\+[0-9]"}
@@ -139,7 +145,8 @@ class Tape:
 
 
 def _digits(m: re.Match) -> str:
-    return "".join(DIGIT_WORDS[w] for w in re.split(r"[\s-]+", m[0].lower()))
+    word = "".join(_CASE_KIN.get(c, c) for c in m[0]).lower()
+    return "".join(DIGIT_WORDS[w] for w in re.split(r"[\s-]+", word))
 
 
 def _at_dot(m: re.Match) -> str:
@@ -161,7 +168,8 @@ def hidden(text: str) -> dict[str, list[Span]]:
     found: dict[str, list[Span]] = {k: [] for k in KINDS}
     if not tape.changed.any() and tape.text == text:
         return found
-    plain = tape.text.replace(WEAK_DOT, ".").replace(WEAK_AT, " ")
+    # the placeholder of a plain "at" stays: no number goes across that word
+    plain = tape.text.replace(WEAK_DOT, ".")
     # "a at b.c" alone is prose: a plain "at" needs a disguised dot, a plain "dot" between words a disguised at
     for m in _HIDDEN_MAIL.finditer(tape.text):
         s, at = m[0], max(m[0].find("@"), m[0].find(WEAK_AT))

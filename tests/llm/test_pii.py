@@ -2,6 +2,7 @@ import hashlib
 import re
 
 import pyarrow as pa
+import pyarrow.compute
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -80,3 +81,35 @@ def test_report_and_mask(spark):
     assert out[3].text == "<EMAIL> and <EMAIL>, <IP>" and out[3].n_chars == len(out[3].text)
     assert out[1].text is None and out[2].text == "" and out[4].text.endswith("<PHONE>")
     assert pii.mask(df).columns == df.columns and pii.report(df.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("text,kind,source", [
+    ("call plus 44 20 7946 0958 now", "phone", "plus 44 20 7946 0958"),
+    ("call +44 20 seven nine four 0 nine five 8 now", "phone", "+44 20 seven nine four 0 nine five 8"),
+    ("card 4111 1111 1111 one one one 1 ok", "card", "4111 1111 1111 one one one 1"),
+    ("host 192.168.zero.one up", "ip", "192.168.zero.one"),
+    ("jane [\u00a0at\u00a0] example.com", "email", "jane [\u00a0at\u00a0] example.com"),
+    ("host 192.168.\u017fIX.s\u0131x up", "ip", "192.168.\u017fIX.s\u0131x"),
+])
+def test_partly_disguised(text, kind, source):
+    (_, _, every), = pii.findings(pa.array([text]))
+    a = text.index(source)
+    assert (kind, a, a + len(source)) in every
+
+
+PARTS = [*pii.DIGIT_WORDS, "plus", "Plus", "+", "at", "dot", "AT", "@", ".", "-", " ", " ", "_", "\t", "\n", "\xa0", "\x0b", "[", "]", "(", ")", "a", "com", "jane", "4111", "192", "168", "0", "7", "44", "\u200b", "\u0131", "\u017f", "\u0430"]
+
+
+@settings(max_examples=3000, deadline=None)
+@given(st.lists(st.sampled_from(PARTS), max_size=24).map("".join))
+def test_texts_that_the_gate_passes_over_hide_nothing(text):
+    gate = pa.compute.match_substring_regex(pa.array([text]), pii.MAY_HIDE, ignore_case=True)[0].as_py()
+    assert gate or not any(pii.hidden(text).values())
+
+
+def test_spans_do_not_hang_on_other_triggers():
+    for text in ("call +44 20 7946 0958 at 10 today", "call plus 44 20 7946 0958", "192.168.zero.one", "4111 1111 at 1111 1111"):
+        (_, _, alone), (_, _, beside) = pii.findings(pa.array([text, text + " \u0430"]))
+        assert alone == beside
+    (_, base, every), = pii.findings(pa.array(["call +44 20 7946 0958 at 10, zero"]))
+    assert base == every == [("phone", 5, 21)]
