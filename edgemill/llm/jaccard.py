@@ -16,7 +16,8 @@ probability (1 - t^rows)^bands, 2e-5 at 0.8) and the tolerance.
 N-grams are hashed to 64 bits, words are lower-cased runs of letters, digits and
 underscores. A text of fewer words than n has one n-gram, all its words; a text
 without words (null and empty ones among them) has none and is similar
-only to texts equal to it (null counts as empty). Repeated rows are copies. An empty table gives no rows.
+only to texts equal to it (null counts as empty). Repeated rows are copies. Rows with null doc_id are
+documents like any other; class_id and text_id are null only where no document of the class or text has an id. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -366,10 +367,19 @@ def similarity_join(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, b
     """One row per document: class_id (least doc_id of its class of linked and equal texts), text_id (least doc_id with the same text),
     n_copies (documents with the same text) and n_links (different texts at or above the threshold).
     """
-    return _joined(docs, threshold, n, bands, rows, tolerance, block).select("doc_id", "class_id", "text_id", "n_copies", "n_links")
+    prints, known = _joined(docs, threshold, n, bands, rows, tolerance, block)
+    return prints.select("doc_id", "text_key").join(known, "text_key").select("doc_id", "class_id", "text_id", "n_copies", "n_links")
 
 
-def _joined(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, bands: int = BANDS, rows: int = ROWS, tolerance: float = TOLERANCE, block: int = BLOCK) -> DataFrame:
+def _one_of_each(docs: DataFrame) -> DataFrame:
+    """text_id, text_key and text of all rows; of those with null id one a text."""
+    source = id_and_text(docs).select(F.col("doc_id").alias("text_id"), F.unhex(F.md5(F.coalesce("text", F.lit("")).cast("binary"))).alias("text_key"), "text")
+    unnamed = source.where("text_id IS NULL").groupBy("text_key").agg(F.first("text").alias("text"))
+    return source.where("text_id IS NOT NULL").unionByName(unnamed.withColumn("text_id", F.lit(None).cast("long")))
+
+
+def _joined(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, bands: int = BANDS, rows: int = ROWS, tolerance: float = TOLERANCE, block: int = BLOCK) -> tuple[DataFrame, DataFrame]:
+    """(fingerprints of the documents, one row per text with text_id, n_copies, class_id, n_links and the text_key that stands for its class)."""
     spark = docs.sparkSession
     ship_package(spark)
     prints = materialise(_fingerprints(docs, n, bands, rows), "fingerprints")
@@ -390,8 +400,9 @@ def _joined(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, bands: in
 
     sized = materialise(components.groupBy("root").agg(F.count(F.lit(1)).alias("size")), "component-sizes")
     placed = components.join(sized, "root").join(texts.select("node", "text_id", "text_key"), "node")
-    source = id_and_text(docs).withColumnRenamed("doc_id", "text_id")
-    found = placed.join(source, "text_id").where(F.col("text_key") == F.unhex(F.md5(F.col("text").cast("binary")))).select("root", "size", "node", "text")
+    source = _one_of_each(docs)
+    same = placed["text_id"].eqNullSafe(source["text_id"]) & (placed["text_key"] == source["text_key"])
+    found = placed.join(source, same).select("root", "size", "node", "text")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -409,20 +420,29 @@ def _joined(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, bands: in
     verified = materialise(dealt.mapInArrow(_verify(threshold, tolerance, bands, rows), "node long, links long, root long"), "verified")
     links = verified.groupBy("node").agg(F.sum("links").alias("n_links"))
     classes = materialise(connected_components(verified.where("node <> root").select(F.col("node").alias("a"), F.col("root").alias("b"))), "classes")
-    named = materialise(classes.join(texts.select("node", "text_id"), "node").groupBy("root").agg(F.min("text_id").alias("class_id")), "class-names")
-    by_node = classes.join(named, "root").select("node", "class_id")
+    first = F.min(F.struct(F.col("text_id").isNull().alias("unnamed"), "text_id", "text_key")).alias("first")  # least id, none last
+    named = materialise(
+        classes.join(texts.select("node", "text_id", "text_key"), "node").groupBy("root").agg(first)
+        .select("root", F.col("first.text_id").alias("class_id"), F.col("first.text_key").alias("class_key")),
+        "class-names",
+    )
+    by_node = classes.join(named, "root").select("node", "class_id", "class_key")
     known = materialise(
         texts.select("text_key", "node", "text_id", "n_copies").join(by_node, "node", "left").join(links, "node", "left")
-        .select("text_key", "text_id", "n_copies", F.coalesce("class_id", "text_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links")),
+        .select(
+            "text_key", "text_id", "n_copies", F.coalesce("class_id", "text_id").alias("class_id"),
+            F.coalesce("class_key", "text_key").alias("class_key"), F.coalesce("n_links", F.lit(0)).alias("n_links"),
+        ),
         "texts-joined",
     )
-    return prints.select("doc_id", "text_key").join(known, "text_key")
+    return prints, known
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """The document with the least doc_id of each class, with all its columns; of repeated rows one stays."""
-    kept = _joined(docs, **options).where("doc_id = class_id").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key")).distinct()
+    """The document with the least doc_id of each class (one with null doc_id only where none has an id), with all its columns; of repeated rows one stays."""
+    _, known = _joined(docs, **options)
+    kept = known.where("text_key = class_key").select(F.col("text_id").alias("_id"), F.col("text_key").alias("_key"))
     key = F.unhex(F.md5(F.coalesce("text", F.lit("")).cast("binary")))
     marked = docs.withColumn("_key", key)
-    joined = marked.join(kept, (F.col("doc_id") == F.col("_id")) & (marked["_key"] == kept["_key"]), "left_semi")
+    joined = marked.join(kept, marked["doc_id"].eqNullSafe(kept["_id"]) & (marked["_key"] == kept["_key"]), "left_semi")
     return joined.dropDuplicates(["doc_id", "_key"]).select(*docs.columns)

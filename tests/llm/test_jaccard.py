@@ -100,5 +100,28 @@ def test_empty_and_repeated(spark):
     assert [r.n_copies for r in similarity_join(df).where("doc_id < 3").collect()] == [3, 3, 3]
 
 
+def test_null_ids_are_documents(spark):
+    words = [f"w{k}" for k in range(60)]
+    text = lambda *changed: " ".join([*words[: 60 - len(changed)], *changed])
+    other = lambda *changed: " ".join([*words[::-1][: 60 - len(changed)], *changed])
+    rows = [
+        (None, "stands alone here and nowhere else at all"),
+        (None, "a text of several"), (None, "a text of several"),
+        (None, text("n")), (7, text("x")), (5, text("y", "z")),
+        (None, other("p")), (None, other("q")),
+        (9, "has an id too"), (None, "has an id too"), (None, None),
+    ]
+    df = spark.createDataFrame([(d, t, k) for k, (d, t) in enumerate(rows)], "doc_id long, text string, row int").repartition(3)
+    got = similarity_join(df).collect()
+    links, _ = brute(rows)
+    assert sorted(r.n_links for r in got) == sorted(links[t or ""] for _, t in rows)
+    assert {(r.doc_id, r.class_id) for r in got if r.doc_id is not None} == {(7, 5), (5, 5), (9, 9)}
+    assert sorted(r.class_id for r in got if r.doc_id is None and r.class_id is not None) == [5, 9]
+    kept = keep_one(df).collect()
+    assert sorted(r.doc_id for r in kept if r.doc_id is not None) == [5, 9]
+    unnamed = [r.text for r in kept if r.doc_id is None]
+    assert len(unnamed) == 4 and {rows[0][1], rows[1][1], None} < set(unnamed) and len({other("p"), other("q")} & set(unnamed)) == 1
+
+
 def test_tolerance_table():
     assert 0 < least_matches(16, 0.8, 1e-6) < least_matches(80, 0.8, 1e-6) < 64
