@@ -122,39 +122,49 @@ def _without(kind: tuple[int, ...], out: tuple[int, ...], put: tuple[int, ...])
     return tuple(sorted(left.elements(), reverse=True))
 
 
-def improve(bins: Bins, capacity: int, rounds: int = 400) -> Bins:
+def improve(bins: Bins, capacity: int) -> Bins:
     """Empty the emptiest bins into the room of the others.
 
-    Every exchange goes from an emptier to a fuller bin (the emptiest first), so
-    the sum of squared fills rises with each and the search ends. It stops when
-    the bins are as few as all tokens need. `rounds` bounds the exchanges; it
-    limits effort, not which pieces are packed.
+    Every exchange goes from an emptier to a fuller bin (the emptiest first) and is
+    made in as many bins as both kinds have, so the sum of squared fills rises with
+    each and the search ends: when the bins are as few as all tokens need, or
+    nothing moves. A pair of kinds that has no exchange is not looked at again.
     """
     bins = Counter({k: n for k, n in bins.items() if n})
     tokens = sum(sum(k) * n for k, n in bins.items())
-    least = -(-tokens // capacity)
-
-    def step() -> bool:
+    least, total = -(-tokens // capacity), sum(bins.values())
+    settled: set[tuple[int, ...]] = set()  # kinds without an exchange among each other
+    moved = True
+    while moved and total > least:
+        moved, gone = False, set()
         under = sorted((k for k in bins if sum(k) < capacity), key=lambda k: (sum(k), k))
+        fresh = [(i, k) for i, k in enumerate(under) if k not in settled]
         for i, low in enumerate(under):
-            for high in reversed(under[i:]):
-                if high == low and bins[low] < 2:
+            if low in settled:
+                partners = [k for j, k in reversed(fresh) if j > i] + [low]
+            else:
+                partners = under[: i - 1 if i else None : -1]
+            for high in partners:
+                if not bins[low] or total <= least:
+                    break
+                n = bins[low] // 2 if high == low else min(bins[low], bins[high])
+                if not n:
                     continue
                 got, out, back = _best_exchange(low, high, capacity - sum(high))
-                if got:
-                    bins.subtract((low, high))
-                    bins.update([_without(high, back, out)])
-                    if rest := _without(low, out, back):
-                        bins.update([rest])
-                    for kind in {low, high}:
-                        if not bins[kind]:
-                            del bins[kind]
-                    return True
-        return False
-
-    for _ in range(rounds):
-        if sum(bins.values()) <= least or not step():
-            break
+                if not got:
+                    continue
+                bins.subtract({low: 2 * n} if high == low else {low: n, high: n})
+                bins[_without(high, back, out)] += n
+                if rest := _without(low, out, back):
+                    bins[rest] += n
+                else:
+                    total -= n
+                for kind in {low, high}:
+                    if not bins[kind]:
+                        del bins[kind]
+                        gone.add(kind)
+                moved = True
+        settled = set(under) - gone
     return dict(bins)
 
 

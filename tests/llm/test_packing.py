@@ -6,7 +6,7 @@ import public_tokenizers
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from edgemill.llm.packing import best_fit_decreasing, improve, pack_documents, packed_sequences
+from edgemill.llm.packing import _best_exchange, best_fit_decreasing, improve, pack_documents, packed_sequences
 from edgemill.llm.wordtokens import word_encoder
 
 PATH = public_tokenizers.path("word_bpe_49k.json")
@@ -51,6 +51,30 @@ def test_search_empties_a_bin():
     assert sum(improve(bins, 10).values()) == 2
 
 
+def test_search_empties_as_many_bins_as_there_are():
+    for many in (1000, 10**9):
+        bins = {(6, 3): many, (5, 4): many, (2,): many}
+        better = improve(bins, 10)
+        assert sum(better.values()) == 2 * many
+        assert sum(n * k.count(2) for k, n in better.items()) == many
+
+
+def nothing_moves(bins, capacity):
+    under = sorted((k for k in bins if sum(k) < capacity), key=sum)
+    return not any(
+        _best_exchange(a, b, capacity - sum(b))[0] for i, a in enumerate(under) for b in under[i:] if a != b or bins[a] > 1
+    )
+
+
+@settings(max_examples=200, deadline=None)
+@given(st.dictionaries(st.integers(20, 100), st.integers(1, 2000), max_size=30))
+def test_search_runs_to_its_end(histogram):
+    better = improve(best_fit_decreasing(histogram, 100), 100)
+    tokens = sum(k * n for k, n in histogram.items())
+    assert sum(k.count(x) * n for k, n in better.items() for x in set(k)) == sum(histogram.values())
+    assert sum(better.values()) == -(-tokens // 100) or nothing_moves(better, 100)
+
+
 def check(spark, rows):
     df = spark.createDataFrame([(d, t, -1) for d, t in rows], "doc_id long, text string, length int")
     got = pack_documents(df, PATH).collect()
