@@ -1,10 +1,11 @@
 """Toxic passages as maximum-scoring segments of token log-odds.
 
-Fit. Words of labelled rows are counted by label; log-odds with an informative
-Dirichlet prior (the pooled counts of the fitted rows, scaled by `prior`) are
-their scores; a likelihood ratio beyond the largest that so many words give by chance picks
-the words, and beginnings of words, that speak for label 1. Every other word shares
-one small negative score, the log-odds of "any other word". The fit reads a
+Fit. Words, and beginnings of words, of labelled rows are counted by label. Their scores
+are log-odds with an informative Dirichlet prior (the pooled counts of the fitted
+rows, scaled by `prior`), less `shrink` of their deviations. Words whose likelihood ratio stands out
+speak for label 1: so many that chance alone would give `false_share` of them (a step-up
+rule, which follows the data at any size). Every other word shares
+one small negative score, the log-odds of "any other word".  The fit reads a
 bounded sample of labelled rows (`fit_rows`, the lowest hashes of doc_id, distinct
 texts), so its tables do not grow with the corpus; scoring covers every word of
 every text.
@@ -14,12 +15,13 @@ of other words count as one step). A segment's score S in a text of n words is
 calibrated by the extreme-value law: lambda solves sum p(w) exp(lambda s(w)) = 1
 under label-0 word frequencies, K is fitted to the best segments of simulated
 label-0 sequences, and E = K n exp(-lambda S). The best sum statistic over the top
-segments is the evidence of the text; isotonic regression on the fitted rows turns it
-into a probability.
+segments is the evidence of the text; isotonic regression on the fitted rows, each
+weighed by scores that leave its own counts out, turns it into a probability.
 
 Null and empty texts have no segments and get the score of no evidence. Very long
 texts are scanned whole. Repeated rows score alike. With no labelled rows
-of both kinds every score is 0. Labels that repeat for an id count as 1 if any is.
+of both kinds, or without a word that stands out, every score is 0. Labels that repeat for an id, or differ between equal texts, count as 1 if any is. Rows
+with null doc_id are scored like any other and are never fitted on. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -27,10 +29,11 @@ from __future__ import annotations
 import math
 from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -45,7 +48,8 @@ SEGMENT_SCHEMA = "doc_id long, start int, end int, segment_score double, e_value
 
 
 def held_out(doc_id):
-    return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(4)) == 2
+    """Whether crc32 of the id as text leaves 2 modulo 4; false for a null id, which has no such remainder."""
+    return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
 
 
 def maximal_segments(items: list[tuple[float, int, int]]) -> list[tuple[float, int, int]]:
@@ -159,14 +163,24 @@ def fit_k(p: np.ndarray, s: np.ndarray, lam: float, words: int = 2000, runs: int
     return float(np.exp(np.clip(lam * best.mean() - np.euler_gamma, -20.0, math.log(words))) / words)
 
 
-def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 40_000, prior: float = 0.05, least_z: float = 1.0, least_rows: int = 5) -> ToxicModel:
+def least_root(bins: dict[int, int], false_share: float) -> float:
+    """The least signed root from which on so few cues are expected by chance that they are at most `false_share` of those found (step-up rule)."""
+    cues, found, least = sum(bins.values()), 0, math.inf
+    for k in sorted(bins, reverse=True):
+        found += bins[k]
+        if k > 0 and cues * 0.5 * math.erfc(k / 50 / math.sqrt(2)) <= false_share * found:
+            least = k / 50
+    return least
+
+
+def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 40_000, prior: float = 0.05, shrink: float = 0.0, false_share: float = 0.2) -> ToxicModel:
     """Learn from at most `fit_rows` labelled rows that are not held out."""
     spark = docs.sparkSession
     ship_package(spark)
     marks = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("label"))
     picked = marks.orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows)
     known = materialise(picked, "fit-ids")  # fit_rows rows of two numbers: what is broadcast has that bound
-    rows = materialise(id_and_text(docs).join(F.broadcast(known), "doc_id").where(F.length("text") > 0).dropDuplicates(["text"]), "fit-rows")
+    rows = materialise(id_and_text(docs).join(F.broadcast(known), "doc_id").where(F.length("text") > 0).groupBy("text").agg(F.max("label").alias("label")), "fit-rows")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         totals: dict[str, list[int]] = {}
@@ -211,26 +225,38 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 40_000, prior: float
 
     counted = rows.select("text", "label").mapInArrow(count, "word string, d0 long, d1 long")
     words = materialise(counted.groupBy("word").agg(F.sum("d0").alias("d0"), F.sum("d1").alias("d1")), "fit-words")
-    cues = words.count()
     sizes = {r.label: r.n for r in rows.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()}
     r0, r1 = sizes.get(0, 0), sizes.get(1, 0)
-    if not r0 or not r1 or not cues:
+    if not r0 or not r1:
         return ToxicModel()
+
     # log-odds of a row holding the word; the prior is the pooled rate, worth `prior` rows for each fitted one
-    a = F.lit(prior) * (F.col("d0") + F.col("d1"))
-    extra = prior * (r0 + r1)
-    odds = lambda y, n: F.log((F.col(y) + a) / (F.lit(n + extra) - F.col(y) - a + 1))
-    delta = odds("d1", r1) - odds("d0", r0)
-    # signed root of the likelihood ratio against equal rates, beyond what the best of so many cues reaches by chance
-    d, rate = F.col("d0") + F.col("d1"), r1 / (r0 + r1)
-    part = lambda y, p: F.when(F.col(y) > 0, F.col(y) * F.log(F.col(y) / (d * p))).otherwise(0.0)
-    ratio = F.sqrt(F.greatest(2 * (part("d1", rate) + part("d0", 1 - rate)), F.lit(0.0)))
-    z = least_z + math.sqrt(2 * math.log(cues + 1))
-    # each row of label 1 holds so many words and each word so many rows: the list is bounded by the sample, not the corpus
-    speaking = words.withColumn("delta", delta).where((F.col("d1") >= least_rows) & (F.col("d1") > d * rate) & (ratio >= z)).select("word", "delta").collect()
+    rate, extra = r1 / (r0 + r1), prior * (r0 + r1)
+
+    def says(d1, d0):
+        """(log-odds, label 1 against 0, less `shrink` deviations; signed root of the likelihood ratio against equal rates)"""
+        d = d1 + d0
+        a = F.lit(prior) * d + 1e-3
+        odds = lambda y, n: F.log((y + a) / (F.lit(n + extra) - y - a + 1))
+        part = lambda y, p: F.when(y > 0, y * F.log(y / (d * p))).otherwise(0.0)
+        root = F.sqrt(F.greatest(2 * (part(d1, rate) + part(d0, 1 - rate)), F.lit(0.0)))
+        delta = odds(d1, r1) - odds(d0, r0) - shrink * F.sqrt(1 / (d1 + a) + 1 / (d0 + a))
+        return F.round(delta, 2), F.when(d1 > d * rate, root).otherwise(0.0)
+
+    d1, d0 = F.col("d1"), F.col("d0")
+    # what a word says, and what it would say without one of its rows of either label: a fitted row is weighed without itself
+    cases = {"all": says(d1, d0), "less1": says(d1 - 1, d0), "less0": says(d1, F.greatest(d0 - 1, F.lit(0)))}
+    rooted = words.select("word", "d1", *(x.alias(f"{name}_{part}") for name, both in cases.items() for part, x in zip(("says", "root"), both)))
+    bins = rooted.groupBy(F.floor(F.col("all_root") * 50).alias("bin")).agg(F.count(F.lit(1)).alias("n")).collect()  # a row for each fiftieth of a root
+    least = least_root({r.bin: r.n for r in bins}, false_share)
+    kept = lambda name: F.when((F.col(f"{name}_root") >= least) & (F.col("d1") >= F.lit(2 if name == "less1" else 1)), F.greatest(F.col(f"{name}_says"), F.lit(0.01))).otherwise(0.0)
+    counts = rooted.select("word", *(kept(name).alias(name) for name in cases))
+    # words of the fitted rows: the list is bounded by the sample, not the corpus
+    speaking = counts.where("all > 0 OR less0 > 0").collect()
     if not speaking:
         return ToxicModel()
-    model = ToxicModel({r.word: float(r.delta) for r in speaking})
+    of = lambda name: {r.word: float(r[name]) for r in speaking if r[name] > 0}
+    model = ToxicModel(of("all"))
     listed = spark.sparkContext.broadcast(model)
 
     def tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -261,11 +287,14 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 40_000, prior: float
         model.other = s[-1] = -2 * float((p[:-1] * s[:-1]).sum()) / float(p[-1])
     model.lam = solve_lambda(p, s)
     model.k = fit_k(p, s, model.lam)
-    shared = spark.sparkContext.broadcast(model)
+    shared = spark.sparkContext.broadcast([replace(model, scores=of("less0")), replace(model, scores=of("less1"))])
 
     def weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_pydict({"label": batch.column(1), "bin": np.ceil(scan(shared.value, batch.column(0))[0] * 4).clip(max=4000).astype(np.int32)})
+            for y, without in enumerate(shared.value):
+                some = batch.filter(pc.equal(batch.column(1), y))
+                if some.num_rows:
+                    yield pa.RecordBatch.from_pydict({"label": some.column(1), "bin": np.ceil(scan(without, some.column(0))[0] * 4).clip(max=4000).astype(np.int32)})
 
     bins = rows.select("text", "label").mapInArrow(weigh, "label int, bin int").groupBy("bin").agg(F.sum("label").alias("a"), F.count(F.lit(1)).alias("b")).orderBy("bin").collect()
     x = np.array([r.bin / 4 for r in bins])
