@@ -2,40 +2,37 @@
 
 Documents with equal texts form a group that stays together. Groups are taken
 by falling size and each goes to the least-loaded shard. Groups of one size are
-interchangeable, so the schedule needs only how many groups each size has: at
-most sqrt(2 * bytes of all documents) sizes, since different sizes add up to no
-more than that. The driver schedules this histogram with a heap (a long run
-of one size in closed form, with the same loads), and the groups of a size then
+interchangeable, so the schedule needs only how many groups each size has. The
+driver streams this histogram by falling size, `most` sizes at a time, through a heap (a long
+run of one size in closed form, with the same loads) and appends the plan to a
+table, so it holds `most` sizes whatever the corpus. The groups of a size then
 take the shards by their rank, which no single task has to compute.
 
 Law of the result: bytes. Null text counts as the empty text (size 1, crc32 0)
-and is in its group. Repeated rows are separate documents. An empty table gives
-no rows. Extra columns are ignored.
+and is in its group. Repeated rows are separate documents, and rows with null doc_id are
+documents like any other (first in their shard). An empty table gives no rows. Extra columns are ignored.
 """
 
 from __future__ import annotations
 
 import heapq
-from collections.abc import Iterator
+from itertools import accumulate, islice
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgemill.functions.ranking import rank_within
-from edgemill.llm.common import id_and_text, materialise, ship_package
+from edgemill.llm.common import fresh_path, id_and_text, materialise
 
-GROUP_SCHEMA = "group_key binary, shard int"
 
-
-def schedule(sizes: list[tuple[int, int]], shards: int) -> tuple[list[tuple[int, int, list[int]]], list[int]]:
-    """(size, number of groups) to (size, first rank, groups for each shard), and the loads.
+def schedule(sizes: list[tuple[int, int]], shards: int, before: list[int] | None = None) -> tuple[list[tuple[int, list[int]]], list[int]]:
+    """(size, number of groups) to (size, groups for each shard), and the loads, which start at those `before`.
 
     Exactly the loads of one-by-one scheduling: within a run of equal sizes the
     shards take turns, so c groups go to the c lowest of the values load + j * size.
     """
-    heap = [(0, k) for k in range(shards)]
+    heap = [(load, k) for k, load in enumerate(before or [0] * shards)]
+    heapq.heapify(heap)
     plan = []
     for size, count in sorted(sizes, reverse=True):
         taken, left = [0] * shards, count
@@ -64,14 +61,26 @@ def schedule(sizes: list[tuple[int, int]], shards: int) -> tuple[list[tuple[int,
     return plan, loads
 
 
-def shard_documents(docs: DataFrame, shards: int = 16) -> DataFrame:
+def _planned(groups: DataFrame, shards: int, most: int) -> DataFrame:
+    """(group_size, ends): a group of the size with rank r goes to the first shard whose end is above r."""
+    spark = groups.sparkSession
+    histogram = materialise(groups.groupBy("group_size").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("group_size")), "size-histogram")
+    path, loads = fresh_path(spark, "shard-plan"), [0] * shards
+    schema = "group_size long, ends array<long>"
+    spark.createDataFrame([], schema).write.mode("append").parquet(path)
+    rows = histogram.orderBy(F.desc("group_size")).toLocalIterator()
+    while chunk := [(r.group_size, r.n) for r in islice(rows, most)]:
+        plan, loads = schedule(chunk, shards, loads)
+        spark.createDataFrame([(size, list(accumulate(taken))) for size, taken in plan], schema).write.mode("append").parquet(path)
+    return spark.read.schema(schema).parquet(path)
+
+
+def shard_documents(docs: DataFrame, shards: int = 16, most: int = 100_000) -> DataFrame:
     """doc_id, size, text_crc32, law, shard, slot, grown_shard of every document.
 
-    Shuffles: document digests (no texts) by group and by shard. Only the
-    histogram of group sizes reaches the driver.
+    Shuffles: document digests (no texts) by group and by shard. The histogram of group
+    sizes passes through the driver, `most` sizes at a time; the plan meets the groups in a join.
     """
-    spark = docs.sparkSession
-    ship_package(spark)
     text = F.coalesce(F.col("text"), F.lit(""))
     digests = materialise(
         id_and_text(docs).select(
@@ -80,21 +89,10 @@ def shard_documents(docs: DataFrame, shards: int = 16) -> DataFrame:
         "digests",
     )
     groups = materialise(digests.groupBy("group_key").agg((F.count(F.lit(1)) * F.first("size")).alias("group_size")), "groups")
-    sizes = [(r.group_size, r.n) for r in groups.groupBy("group_size").agg(F.count(F.lit(1)).alias("n")).collect()]
-    plan, _ = schedule(sizes, shards)
-    plan.sort()
-    keys = np.array([size for size, _ in plan], np.int64)
-    ends = np.cumsum(np.array([taken for _, taken in plan], np.int64).reshape(len(plan), shards), axis=1)
-    shared = spark.sparkContext.broadcast((keys, ends))
-
-    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keys, ends = shared.value
-        for batch in batches:
-            row = np.searchsorted(keys, batch.column(1).to_numpy())
-            shard = (ends[row] <= batch.column(2).to_numpy()[:, None]).sum(axis=1).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(shard)], ["group_key", "shard"])
-
-    placed = rank_within(groups, ["group_size"], ["group_key"]).select("group_key", "group_size", "rank").mapInArrow(place, GROUP_SCHEMA)
+    plan = _planned(groups, shards, most)
+    ranked = rank_within(groups, ["group_size"], ["group_key"])
+    shard = F.size(F.filter("ends", lambda end: end <= F.col("rank"))).cast("int")
+    placed = ranked.join(plan, "group_size").select("group_key", shard.alias("shard"))
     assigned = materialise(digests.join(placed, "group_key").drop("group_key"), "assigned")
     return rank_within(assigned, ["shard"], ["doc_id", "text_crc32"], "slot").select(
         "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard")
