@@ -7,13 +7,15 @@ reader seeks to the blocks of any document and unpacks them with numpy.
 
 File layout (little-endian): magic, payload of blocks, directory
 (document ids, document starts, block offsets as int64), footer (number of
-documents, ids, blocks, block size, bits, directory offset as int64, magic).
+documents, ids, blocks, block size, bits, directory offset, leading documents without
+an id as int64, magic).
 
-Nulls and empty texts give a document that has the end id alone; repeated
-rows stay separate documents; an empty table gives no file and no rows; other
+Nulls and empty texts give a document that has the end id alone. Documents with null doc_id come
+before all others; documents with equal ids stand in order of a hash of their texts, and repeated
+rows stay separate documents. An empty table gives no file and no rows; other
 columns are ignored. Files get a new name at each attempt of a task and only
 those a finished task reports are read, so a lost executor leaves no wrong file
-in use.
+in use; files of lost attempts are deleted at the end.
 """
 
 from __future__ import annotations
@@ -24,17 +26,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyarrow import fs as pafs
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from edgemill.llm.common import fresh_path, id_and_text, materialise, ship_package
+from edgemill.llm.common import discard, fresh_path, id_and_text, materialise, ship_package
 from edgemill.llm.wordtokens import end_every, word_encoder
 
-MAGIC = b"IDPACK01"
+MAGIC = b"IDPACK02"
 BLOCK = 1 << 16  # ids
-FOOTER = np.dtype("<i8").itemsize * 6 + len(MAGIC)
-FILE_SCHEMA = "path string, first_doc long, n_docs long, n_tokens long"
+FOOTER = np.dtype("<i8").itemsize * 7 + len(MAGIC)
+FILE_SCHEMA = "part int, path string, first_doc long, n_docs long, n_tokens long"
 DOC_SCHEMA = "doc_id long, start long, n_tokens long, ids_crc32 long"
 
 
@@ -76,7 +80,7 @@ class PackedWriter:
     def __init__(self, sink, bits: int, block: int = BLOCK):
         self.sink, self.bits, self.block = sink, bits, block
         self.sink.write(MAGIC)
-        self.at, self.total = len(MAGIC), 0
+        self.at, self.total, self.unnamed = len(MAGIC), 0, 0
         self.held: list[np.ndarray] = []
         self.n_held = 0
         self.docs: list[np.ndarray] = []
@@ -89,7 +93,9 @@ class PackedWriter:
         self.offsets.append(self.at)
         self.at += len(data)
 
-    def add(self, doc_ids: np.ndarray, ids: np.ndarray, counts: np.ndarray) -> None:
+    def add(self, doc_ids: np.ndarray, ids: np.ndarray, counts: np.ndarray, unnamed: int = 0) -> None:
+        """Documents in order; the first `unnamed` of them have no id (any number stands for it)."""
+        self.unnamed += unnamed
         self.docs.append(doc_ids)
         self.counts.append(counts)
         self.total += len(ids)
@@ -110,7 +116,7 @@ class PackedWriter:
         starts = np.cumsum(counts) - counts
         directory = docs.tobytes() + starts.astype("<i8").tobytes() + np.array(self.offsets, "<i8").tobytes()
         self.sink.write(directory)
-        self.sink.write(np.array([len(docs), self.total, len(self.offsets), self.block, self.bits, self.at], "<i8").tobytes() + MAGIC)
+        self.sink.write(np.array([len(docs), self.total, len(self.offsets), self.block, self.bits, self.at, self.unnamed], "<i8").tobytes() + MAGIC)
 
 
 class PackedFile:
@@ -123,7 +129,7 @@ class PackedFile:
         footer = source.read(FOOTER)
         if footer[-len(MAGIC) :] != MAGIC:
             raise ValueError("not a packed id file")
-        self.n_docs, self.n_tokens, n_blocks, self.block, self.bits, at = np.frombuffer(footer[: -len(MAGIC)], "<i8").tolist()
+        self.n_docs, self.n_tokens, n_blocks, self.block, self.bits, at, self.unnamed = np.frombuffer(footer[: -len(MAGIC)], "<i8").tolist()
         source.seek(at)
         directory = np.frombuffer(source.read(size - FOOTER - at), "<i8")
         self.doc_ids = directory[: self.n_docs]
@@ -153,19 +159,45 @@ def _open(path: str):
     return pafs.FileSystem.from_uri(path)
 
 
+def _encoded(docs: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
+    """(doc_id, text_order, ids): ids of each whole text and the end id, as 16-bit numbers where the vocabulary allows that, else 32."""
+
+    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder = word_encoder(tokenizer)
+        width = _width(bits_for(encoder.vocabulary))
+        for batch in batches:
+            at = 0
+            for ids, counts in encoder.encode(batch.column(2)):
+                ids, counts = end_every(ids, counts, end_id)
+                data, ends = pa.py_buffer(ids.astype(f"<u{width}").tobytes()), np.cumsum(counts) * width
+                packed = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(counts), [None, pa.py_buffer(np.append(0, ends).astype("<i8").tobytes()), data])
+                yield pa.RecordBatch.from_arrays([batch.column(k).slice(at, len(counts)) for k in (0, 1)] + [packed.cast(pa.binary())], ["doc_id", "text_order", "ids"])
+                at += len(counts)
+
+    ordered = id_and_text(docs).select("doc_id", F.xxhash64("text").alias("text_order"), "text")
+    return ordered.mapInArrow(encode, "doc_id long, text_order long, ids binary")
+
+
+def _width(bits: int) -> int:
+    return 2 if bits <= 16 else 4
+
+
 def write_packed(docs: DataFrame, tokenizer: str, end_id: int, folder: str | None = None, files: int | None = None) -> DataFrame:
     """Encode every whole text, end each with `end_id`, and write files of ascending id ranges; returns the list of files.
 
-    Columns of the result: path, first_doc, n_docs, n_tokens. One shuffle of
-    the texts (range partitioning by doc_id); a task streams its range.
+    Columns of the result: part (ascending with the ids), path, first_doc, n_docs, n_tokens. Texts are encoded where they are
+    read and never shuffled; their ids (two bytes each for a vocabulary of up to 65,536) are stored and range partitioned by
+    doc_id, then text, then row, so that a repeated id, too, spreads over files; a task streams its range.
     """
     spark = docs.sparkSession
     ship_package(spark)
     folder = folder or fresh_path(spark, "packed-ids")
     files = files or max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+    bits = bits_for(word_encoder(tokenizer).vocabulary)
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, sink, store = word_encoder(tokenizer), None, None
+        sink = store = None
+        width = _width(bits)
         for batch in batches:
             if not batch.num_rows:
                 continue
@@ -174,35 +206,51 @@ def write_packed(docs: DataFrame, tokenizer: str, end_id: int, folder: str | Non
                 store.create_dir(at, recursive=True)
                 name = f"{uuid.uuid4().hex}.ids"
                 raw = store.open_output_stream(f"{at}/{name}")
-                sink, first = PackedWriter(raw, bits_for(encoder.vocabulary)), batch.column(0)[0].as_py()
-            at_row = 0
-            for ids, counts in encoder.encode(batch.column(1)):
-                ids, counts = end_every(ids, counts, end_id)
-                sink.add(batch.column(0).slice(at_row, len(counts)).to_numpy(), ids, counts)
-                at_row += len(counts)
+                sink, first = PackedWriter(raw, bits), batch.column(0)[0].as_py()
+            for lo in range(0, batch.num_rows, 1024):
+                part = batch.slice(lo, 1024)
+                data = part.column(1).to_pylist()
+                named = part.column(0)
+                counts = np.fromiter(map(len, data), np.int64, len(data)) // width
+                sink.add(pc.fill_null(named, 0).to_numpy(), np.frombuffer(b"".join(data), f"<u{width}").astype("<u4"), counts, named.null_count)
         if sink is not None:
             sink.close()
             raw.close()
-            yield pa.RecordBatch.from_pydict({"path": [f"{folder}/{name}"], "first_doc": [first], "n_docs": [sum(map(len, sink.docs))], "n_tokens": [sink.total]})
+            yield pa.RecordBatch.from_pydict({"part": pa.array([TaskContext.get().partitionId()], pa.int32()), "path": [f"{folder}/{name}"], "first_doc": pa.array([first], pa.int64()), "n_docs": [sum(map(len, sink.docs))], "n_tokens": [sink.total]})
+
+    encoded = materialise(_encoded(docs, tokenizer, end_id), "encoded")
+    order = ["doc_id", "text_order"]
+    dealt = encoded.withColumn("row", F.monotonically_increasing_id()).repartitionByRange(files, *order, "row").sortWithinPartitions(*order)
+    stored = materialise(dealt.select("doc_id", "ids").mapInArrow(write, FILE_SCHEMA), "packed-files")
+    discard(encoded)
+    _delete_others(stored, folder)
+    return stored
+
 
-    ordered = id_and_text(docs).repartitionByRange(files, "doc_id").sortWithinPartitions("doc_id")
-    return materialise(ordered.mapInArrow(write, FILE_SCHEMA), "packed-files")
+def _delete_others(stored: DataFrame, folder: str) -> None:
+    """Remove what attempts that did not finish have left; one name a file passes through the driver."""
+    names = {r.path.rsplit("/", 1)[1] for r in stored.select("path").collect()}
+    spark = stored.sparkSession
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    store = path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf())
+    for entry in store.listStatus(path) if names else ():
+        if entry.getPath().getName() not in names and entry.getPath().getName().endswith(".ids"):
+            store.delete(entry.getPath(), False)
 
 
-def read_packed(files: DataFrame, per_task: int = 1) -> DataFrame:
+def read_packed(files: DataFrame) -> DataFrame:
     """Read the files of `write_packed` back: one row per document with its place among all ids, count and crc32 of its ids.
 
-    The list of files (one row a file) passes through the driver to number the ids across files.
+    The list of files (one row a file) passes through the driver to number the ids across files; a task reads one file.
     """
     spark = files.sparkSession
     ship_package(spark)
-    listed = sorted(files.collect(), key=lambda r: r.first_doc)
     rows, total = [], 0
-    for r in listed:
-        rows.append((r.path, total))
+    for k, r in enumerate(sorted(files.collect(), key=lambda r: r.part)):
+        rows.append((k, r.path, total))
         total += r.n_tokens
-    # one partition a file; an RDD of the driver's list would need Python pickling, range() does not
-    places = spark.createDataFrame(rows, "path string, base long").repartition(max(1, len(rows)), "path") if rows else spark.createDataFrame([], "path string, base long")
+    listed = spark.createDataFrame(rows, "k int, path string, base long")
+    places = listed.repartitionById(max(1, len(rows)), F.col("k")).select("path", "base")
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -219,7 +267,7 @@ def read_packed(files: DataFrame, per_task: int = 1) -> DataFrame:
                         raw = memoryview(ids.astype("<u4").tobytes())
                         cuts = ((packed.starts[k:to] - lo) * 4).tolist(), ((packed.ends[k:to] - lo) * 4).tolist()
                         yield pa.RecordBatch.from_pydict({
-                            "doc_id": packed.doc_ids[k:to], "start": packed.starts[k:to] + base, "n_tokens": packed.ends[k:to] - packed.starts[k:to],
+                            "doc_id": pa.array(packed.doc_ids[k:to], mask=np.arange(k, to) < packed.unnamed), "start": packed.starts[k:to] + base, "n_tokens": packed.ends[k:to] - packed.starts[k:to],
                             "ids_crc32": np.array([zlib.crc32(raw[a:b]) for a, b in zip(*cuts)], np.int64),
                         })
                         k = to
