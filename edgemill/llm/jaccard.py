@@ -7,7 +7,8 @@ reaches the threshold falls below a tolerance. Pairs that survive link candidate
 components; inside a component every pair is compared in the same way and
 the survivors are verified exactly on their n-gram sets.
 
-No pair of a group is a row: buckets and components are cut into blocks, a task
+No pair of a group is a row: buckets and components are cut into blocks (n-gram sets into
+blocks of so many n-grams, whatever the length of the texts), a task
 compares two blocks with arrays and returns one row per node (its number of
 links and the least node it is connected to). Nothing is capped. What can be
 lost is bounded by the bands (a pair at the threshold shares none with
@@ -40,7 +41,8 @@ THRESHOLD, N = 0.8, 5
 BANDS, ROWS = 20, 4
 STEP = 16  # hash values compared between two looks at the posterior
 TOLERANCE = 1e-6
-BLOCK = 4096  # nodes in a block
+BLOCK = 4096  # nodes in a block of signatures
+SET_BLOCK, SET_GRAMS = 1024, 1 << 20  # nodes and n-grams in a block of n-gram sets
 JOIN_SCHEMA = "doc_id long, class_id long, text_id long, n_copies long, n_links long"
 
 
@@ -115,7 +117,7 @@ def band_keys(signature: np.ndarray, bands: int, rows: int) -> np.ndarray:
 
 
 def _fingerprints(docs: DataFrame, n: int, bands: int, rows: int) -> DataFrame:
-    """doc_id, text_key and, for texts with n-grams, signature (16 bits a value) and band keys; one narrow pass over the texts."""
+    """doc_id, text_key, number of n-grams and, for texts with some, signature (16 bits a value) and band keys; one narrow pass over the texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -129,13 +131,13 @@ def _fingerprints(docs: DataFrame, n: int, bands: int, rows: int) -> DataFrame:
                 packed = pa.FixedSizeBinaryArray.from_buffers(pa.binary(width), len(low), [None, pa.py_buffer(np.ascontiguousarray(low))]).cast(pa.binary())
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(some * bands)]).astype(np.int32)), pa.array(keys[some].reshape(-1)))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(at, len(counts)), batch.column(1).slice(at, len(counts)), packed, lists], ["doc_id", "text_key", "signature", "bands"]
+                    [batch.column(0).slice(at, len(counts)), batch.column(1).slice(at, len(counts)), pa.array(counts.astype(np.int64)), packed, lists], ["doc_id", "text_key", "n_grams", "signature", "bands"]
                 )
                 at += len(counts)
 
     text = F.coalesce("text", F.lit(""))
     keyed = id_and_text(docs).select("doc_id", F.unhex(F.md5(text.cast("binary"))).alias("text_key"), text.alias("text"))
-    return keyed.mapInArrow(run, "doc_id long, text_key binary, signature binary, bands array<long>")
+    return keyed.mapInArrow(run, "doc_id long, text_key binary, n_grams long, signature binary, bands array<long>")
 
 
 def _alive(a: np.ndarray, b: np.ndarray, threshold: float, tolerance: float) -> np.ndarray:
@@ -385,7 +387,7 @@ def _joined(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, bands: in
     prints = materialise(_fingerprints(docs, n, bands, rows), "fingerprints")
     texts = materialise(
         prints.groupBy("text_key")
-        .agg(F.min("doc_id").alias("text_id"), F.count(F.lit(1)).alias("n_copies"), F.first("signature").alias("signature"), F.first("bands").alias("bands"))
+        .agg(F.min("doc_id").alias("text_id"), F.count(F.lit(1)).alias("n_copies"), F.first("n_grams").alias("n_grams"), F.first("signature").alias("signature"), F.first("bands").alias("bands"))
         .withColumn("node", F.monotonically_increasing_id()),  # fixed from here on: this is a table
         "texts",
     )
@@ -398,11 +400,14 @@ def _joined(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, bands: in
     candidates = dealt.mapInArrow(_link_candidates(threshold, tolerance), "a long, b long")
     components = materialise(connected_components(candidates), "components")
 
-    sized = materialise(components.groupBy("root").agg(F.count(F.lit(1)).alias("size")), "component-sizes")
-    placed = components.join(sized, "root").join(texts.select("node", "text_id", "text_key"), "node")
+    listed = components.join(texts.select("node", "text_id", "text_key", "n_grams"), "node")
+    nodes = F.count(F.lit(1))
+    pieces = F.least(nodes, F.greatest(F.ceil(nodes / min(block, SET_BLOCK)), F.ceil(F.sum("n_grams") / SET_GRAMS)))
+    sized = materialise(listed.groupBy("root").agg(pieces.cast("long").alias("pieces")), "component-sizes")
+    placed = listed.join(sized, "root")
     source = _one_of_each(docs)
     same = placed["text_id"].eqNullSafe(source["text_id"]) & (placed["text_key"] == source["text_key"])
-    found = placed.join(source, same).select("root", "size", "node", "text")
+    found = placed.join(source, same).select("root", "pieces", "node", "text")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -410,12 +415,12 @@ def _joined(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, bands: in
             for grams, counts in gram_hashes(batch.column(3), n):
                 cuts = np.cumsum(counts)
                 parts = [np.unique(grams[a:b]).tobytes() for a, b in zip((cuts - counts).tolist(), cuts.tolist())]
-                yield pa.RecordBatch.from_arrays([batch.column(k).slice(at, len(counts)) for k in range(3)] + [pa.array(parts, pa.binary())], ["root", "size", "node", "grams"])
+                yield pa.RecordBatch.from_arrays([batch.column(k).slice(at, len(counts)) for k in range(3)] + [pa.array(parts, pa.binary())], ["root", "pieces", "node", "grams"])
                 at += len(counts)
 
     # the text join's output is materialised as n-gram sets of the documents in components, not of all
-    grams = found.mapInArrow(sets, "root long, size long, node long, grams binary")
-    cut = _in_blocks(grams, ["root"], "size", block).select("root", "first_block", "second_block", F.col("_own").alias("own"), "node", "grams")
+    grams = found.mapInArrow(sets, "root long, pieces long, node long, grams binary")
+    cut = _in_blocks(grams, ["root"], "pieces", 1).select("root", "first_block", "second_block", F.col("_own").alias("own"), "node", "grams")
     dealt = cut.repartition(width, "root", "first_block", "second_block").sortWithinPartitions("root", "first_block", "second_block")
     verified = materialise(dealt.mapInArrow(_verify(threshold, tolerance, bands, rows), "node long, links long, root long"), "verified")
     links = verified.groupBy("node").agg(F.sum("links").alias("n_links"))
