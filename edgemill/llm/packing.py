@@ -10,8 +10,8 @@ squared fills, until bins are empty or nothing moves. Pieces of a length
 then take their places by rank.
 
 Null and empty texts are a piece of one token (the end id). Repeated rows and ids
-are packed as they come. An empty table gives no rows; other columns are
-ignored.
+are packed as they come, rows with null doc_id too (first in the order of equal lengths). An empty table
+gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -179,7 +179,7 @@ def cut_pieces(docs: DataFrame, tokenizer: str, end_id: int = 0, capacity: int =
             at = 0
             for ids, counts in encoder.encode(batch.column(1)):
                 ids, counts = end_every(ids, counts, end_id)
-                doc_ids = batch.column(0).slice(at, len(counts)).to_numpy()
+                doc_ids = batch.column(0).slice(at, len(counts))
                 at += len(counts)
                 pieces = -(-counts // capacity)
                 owner = np.repeat(np.arange(len(counts)), pieces)
@@ -189,7 +189,7 @@ def cut_pieces(docs: DataFrame, tokenizer: str, end_id: int = 0, capacity: int =
                 lo = (np.cumsum(counts) - counts)[owner] + start
                 raw = memoryview(ids.tobytes())
                 crc = np.fromiter((zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(lo.tolist(), (lo + length).tolist())), np.int64, len(lo))
-                out = {"doc_id": doc_ids[owner], "piece": number.astype(np.int32), "start": start, "length": length, "ids_crc32": crc}
+                out = {"doc_id": doc_ids.take(pa.array(owner)), "piece": number.astype(np.int32), "start": start, "length": length, "ids_crc32": crc}
                 if with_ids:
                     out["ids"] = pa.ListArray.from_arrays(pa.array(np.append(lo, len(ids)).astype(np.int32)), pa.array(ids.astype(np.int32)))
                 yield pa.RecordBatch.from_pydict(out)
@@ -244,8 +244,9 @@ def pack_documents(docs: DataFrame, tokenizer: str, end_id: int = 0, capacity: i
 
 def packed_sequences(docs: DataFrame, tokenizer: str, end_id: int = 0, capacity: int = 2048) -> DataFrame:
     """The packed sequences themselves: sequence_id and its ids, end to end."""
-    pieces = materialise(cut_pieces(docs, tokenizer, end_id, capacity, with_ids=True).withColumn("row", F.xxhash64("doc_id", "piece", "ids_crc32")), "pieces-with-ids")
-    placed = pack_pieces(pieces, capacity).dropDuplicates(["sequence_id", "offset"])
-    ids = pieces.dropDuplicates(["doc_id", "piece", "ids_crc32"]).select("doc_id", "piece", "ids_crc32", "ids")
-    joined = placed.join(ids, ["doc_id", "piece", "ids_crc32"])
+    pieces = materialise(cut_pieces(docs, tokenizer, end_id, capacity, with_ids=True), "pieces-with-ids")
+    # pieces with the same id, number, length and checksum stand for each other
+    same = [F.col("doc_id").isNull().alias("unnamed"), F.coalesce("doc_id", F.lit(0)).alias("id"), "piece", "length", "ids_crc32"]
+    ids = pieces.select(*same, "ids").dropDuplicates(["unnamed", "id", "piece", "length", "ids_crc32"])
+    joined = pack_pieces(pieces, capacity).select(*same, "sequence_id", "offset").join(ids, ["unnamed", "id", "piece", "length", "ids_crc32"])
     return joined.groupBy("sequence_id").agg(F.flatten(F.transform(F.sort_array(F.collect_list(F.struct("offset", "ids"))), lambda x: x["ids"])).alias("ids"))

@@ -11,7 +11,7 @@ whole scores are resolved exactly, those below t go, and the best k stay.
 Queries are the rows with id divisible by `every`; they pass in blocks of
 `block` vectors (a bounded broadcast), each against all rows, so no pair of vectors is
 shuffled. Vectors that are null, empty or hold a null or non-finite component take
-no part, as query or as row. Vectors of another length than the query's
+no part, as query or as row, nor do rows with null id. Vectors of another length than the query's
 are not comparable and take no part in its result. Ties go to the smaller
 id; rows with one id more than once are each a candidate, but a query never meets
 its own id; a query id that repeats is answered once, for its first vector in
@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from edgemill.llm.common import materialise, ship_package
+from edgemill.llm.common import fresh_path, materialise, ship_package
 
 OUT_SCHEMA = "query_id long, rank int, vec_id long, score long"
 EXACT = float(1 << 52)
@@ -35,8 +35,8 @@ NO_CUTOFF = -(1 << 62)  # for queries that meet fewer than k rows; below any sco
 
 
 def usable(vectors: DataFrame, id_col: str, vec_col: str, scale: int) -> DataFrame:
-    """id and quantised components of the vectors that take part."""
-    ok = F.col(vec_col).isNotNull() & (F.size(vec_col) > 0) & F.forall(vec_col, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
+    """id and quantised components of the vectors that take part; a row with null id has no name to be listed by and takes none."""
+    ok = F.col(id_col).isNotNull() & F.col(vec_col).isNotNull() & (F.size(vec_col) > 0) & F.forall(vec_col, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
     cells = F.transform(vec_col, lambda x: F.floor(F.lit(float(scale)) * x.cast("double")))
     return vectors.where(ok).select(F.col(id_col).cast("long").alias("vec_id"), cells.alias("cells"))
 
@@ -155,19 +155,20 @@ def top_k(vectors: DataFrame, k: int = 10, every: int = 100, scale: int = 1024,
     rows = materialise(usable(vectors, id_col, vec_col, scale), "vectors")
     queries = rows.where(F.pmod("vec_id", F.lit(every)) == 0).groupBy("vec_id").agg(F.min("cells").alias("cells"))
     numbered = materialise(queries, "queries")
-    parts, ids, cells = [], [], []
-    # one block of query vectors at a time passes through the driver
+    found, ids, cells = fresh_path(spark, "top-k"), [], []
+
+    def store() -> None:
+        _block_top(spark, rows, ids, cells, k, lists, chunk).write.mode("append").parquet(found)
+        ids.clear()
+        cells.clear()
+
+    # one block of query vectors at a time passes through the driver; its ranks are appended to one table, whose plan no number of blocks makes longer
     for r in numbered.toLocalIterator():
         ids.append(r.vec_id)
         cells.append(r.cells)
         if len(ids) == block:
-            parts.append(materialise(_block_top(spark, rows, ids, cells, k, lists, chunk), "top-k"))
-            ids, cells = [], []
+            store()
     if ids:
-        parts.append(_block_top(spark, rows, ids, cells, k, lists, chunk))
-    if not parts:
-        return spark.createDataFrame([], OUT_SCHEMA)
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+        store()
+    spark.createDataFrame([], OUT_SCHEMA).write.mode("append").parquet(found)  # the table is there without queries as well
+    return spark.read.schema(OUT_SCHEMA).parquet(found)
