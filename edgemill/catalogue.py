@@ -98,7 +98,8 @@ SQL_CSR_RMAT = f"{SQL_BASE_RMAT},\n{SQL_DEGREES},\n{SQL_OFFSETS},\n{SQL_NEIGHBOR
 def base(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, Layout, int]:
     """The part-supplier edges, a permutation of their vertices, the layout and the number of edges."""
     n = tables.part_supplier_vertices(spark, sf_dir)
-    return tables.part_supplier(spark, sf_dir), permute.by_sort(spark, n, SEED, "portable"), Layout(n, NB, NC, BLOCK, CHUNK), tables.size_of(spark, sf_dir, "lineitem")
+    perm = materialise(permute.by_sort(spark, n, SEED, "portable"), "permutation")  # both joins read it, none sorts it again
+    return tables.part_supplier(spark, sf_dir), perm, Layout(n, NB, NC, BLOCK, CHUNK), tables.size_of(spark, sf_dir, "lineitem")
 
 
 def relabelled(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, Layout, int]:
@@ -154,7 +155,7 @@ def perm_sequential(spark, sf_dir):
     return permute.sequential(spark, tables.size_of(spark, sf_dir, "customer"), SEED, "portable")
 
 
-@entry("P5", sql_with(SQL_NC, SQL_IDS) + " SELECT id, id AS label FROM ids")
+@entry("P5 S2", sql_with(SQL_NC, SQL_IDS) + " SELECT id, id AS label FROM ids")
 def perm_identity(spark, sf_dir):
     return permute.identity(spark, tables.size_of(spark, sf_dir, "customer"))
 
@@ -164,39 +165,41 @@ def perm_inverse(spark, sf_dir):
     return permute.invert(perm_sort(spark, sf_dir))
 
 
-@entry("P7 F2 S5", SQL_CUSTOMER_PERM + f" SELECT id, label FROM perm, dims WHERE (id * {NB}) // n = 2")
+@entry("P7", SQL_CUSTOMER_PERM + f" SELECT id, label FROM perm, dims WHERE (id * {NB}) // n = 2")
 def perm_range(spark, sf_dir):
     n = tables.size_of(spark, sf_dir, "customer")
     return permute.range_of(permute.store_ranges(perm_sort(spark, sf_dir), n, NB), 2)
 
 
-def sql_hash(v: str, n: int, key: int = 7, rounds: int = 4, walks: int = 12) -> str:
-    """A chain of subqueries that ends in (id, label)."""
-    from edgemill.functions.prng import hash_constants
+def sql_hash(v: str, n: int, key: int = 7, rounds: int = 4, source: str = "ids") -> str:
+    """A chain of subqueries over `source` that ends in (id, label)."""
+    from edgemill.functions.prng import hash_constants, mixing_steps
 
     bits = (n - 1).bit_length()
-    mask, low, half = (1 << bits) - 1, (1 << min(bits, 24)) - 1, (bits + 1) // 2
-
-    def hashed(inner: str) -> str:
+    out = f"SELECT id, {v} AS v FROM {source}"
+    if n == 1 << bits:
+        mask, low, half = n - 1, (1 << min(bits, 24)) - 1, (bits + 1) // 2
         for a, c in hash_constants(key, rounds):
-            inner = f"SELECT id, xor(y, y >> {half}) AS v, w FROM (SELECT id, (v * {(a & low) | 1} + {c & mask}) & {mask} AS y, w FROM ({inner}))"
-        return inner
-
-    out = hashed(f"SELECT id, {v} AS v, 0 AS w FROM ids")
-    if n != 1 << bits:
-        for _ in range(walks):
-            out = f"SELECT id, CASE WHEN w < {n} THEN w ELSE v END AS v, 0 AS w FROM ({hashed(f'SELECT id, v, v AS w FROM ({out})')})"
+            out = f"SELECT id, xor(y, y >> {half}) AS v FROM (SELECT id, (v * {(a & low) | 1} + {c & mask}) & {mask} AS y FROM ({out}))"
+    else:
+        half = bits // 2
+        for a, c, odd in mixing_steps(n, key, rounds):
+            moved = f"SELECT id, (v * {a} + {c}) % {n} AS y FROM ({out})"
+            out = f"SELECT id, CASE WHEN z < {n} THEN z ELSE y END AS v FROM (SELECT id, y, xor(y, ((y >> {half}) * {odd}) & {(1 << half) - 1}) AS z FROM ({moved}))"
     return f"SELECT id, v AS label FROM ({out})"
 
 
-@entry("P3 B1 I14", "WITH ids AS (SELECT unnest(range(1024)) AS id) " + sql_hash("id", 1024))
-def perm_hash(spark, sf_dir):
-    return permute.by_hash(spark, 1024)
+for _name, _n in (("perm_hash", 1024), ("perm_hash_walk", 1500), ("perm_hash_above_power", (1 << 16) + 1), ("perm_hash_million", (1 << 20) + 1)):
+    entry("P3 B1 I14", f"WITH ids AS (SELECT unnest(range({_n})) AS id) " + sql_hash("id", _n), _name)(lambda spark, sf_dir, n=_n: permute.by_hash(spark, n))
 
 
-@entry("P3 B1 I14", "WITH ids AS (SELECT unnest(range(1500)) AS id) " + sql_hash("id", 1500))
-def perm_hash_walk(spark, sf_dir):
-    return permute.by_hash(spark, 1500)
+@entry("P3 RL6 I14", f"{sql_with(SQL_N1, SQL_V1)} SELECT count(*) AS edges, CAST(0 AS BIGINT) AS outside, CAST(count(DISTINCT src) AS BIGINT) AS sources, CAST(count(DISTINCT dst) AS BIGINT) AS targets FROM edges")
+def relabel_hashed_tables(spark, sf_dir):
+    """The hash over a table's vertices, whose number is no power of two: no end outside, as many different ends as before."""
+    edges, _, layout, _ = base(spark, sf_dir)
+    new = relabel.relabel_hashed(edges, layout.n)
+    outside = ~F.col("src").between(0, layout.n - 1) | ~F.col("dst").between(0, layout.n - 1)
+    return new.agg(F.count(F.lit(1)).alias("edges"), F.sum(outside.cast("long")).alias("outside"), F.countDistinct("src").alias("sources"), F.countDistinct("dst").alias("targets"))
 
 
 @entry("C12 I1", SQL_CUSTOMER_PERM + f""", cells AS (SELECT i, j FROM (SELECT unnest(range({NB})) AS i), (SELECT unnest(range({NB})) AS j)),
@@ -417,10 +420,24 @@ def degrees_in(spark, sf_dir):
     return csr.in_degrees(edges, layout).select("id", "deg")
 
 
-@entry("K2a C5 G23", None)
+FLUSH = 256
+
+
+@entry("K2a C5 G23", f"""WITH RECURSIVE {SQL_BASE.removeprefix("WITH ")}, seen AS (SELECT eid // {CHUNK} AS chunk, eid, coalesce(lag(eid) OVER (PARTITION BY eid // {CHUNK}, src ORDER BY eid), -1) AS former FROM relabelled),
+turns(chunk, begins, flushes) AS (SELECT chunk, min(eid), 0 FROM seen GROUP BY chunk
+  UNION ALL SELECT chunk, after, flushes + 1 FROM (SELECT t.chunk, t.flushes, s.eid + 1 AS after, row_number() OVER (PARTITION BY t.chunk ORDER BY s.eid) AS nth
+    FROM turns t JOIN seen s ON s.chunk = t.chunk AND s.eid >= t.begins AND s.former < t.begins) WHERE nth = {FLUSH}),
+ended AS (SELECT chunk, max(flushes) AS flushes, max(begins) AS begins FROM turns GROUP BY chunk), last AS (SELECT chunk, max(eid) AS eid FROM seen GROUP BY chunk)
+SELECT e.chunk, CAST(flushes + CASE WHEN l.eid >= begins THEN 1 ELSE 0 END AS BIGINT) AS flushes FROM ended e JOIN last l USING (chunk)""")
 def degrees_flushed(spark, sf_dir):
     edges, layout, _ = relabelled(spark, sf_dir)
-    return csr.degrees_flushed(edges, layout, 256)
+    return csr.degrees_flushed(edges, layout, FLUSH)
+
+
+@entry("C5 G23", f"{SQL_BASE} SELECT eid // {CHUNK} AS chunk, CAST(ceil(count(*) / {FLUSH}.0) AS BIGINT) AS flushes FROM relabelled GROUP BY ALL")
+def adjacency_flushed(spark, sf_dir):
+    edges, layout, _ = relabelled(spark, sf_dir)
+    return csr.adjacency_flushed(edges, layout, FLUSH)
 
 
 @entry("C5", f"{SQL_BASE} SELECT eid // {CHUNK} AS chunk, CAST(ceil(count(DISTINCT src) / 256.0) AS BIGINT) AS least_flushes FROM relabelled GROUP BY ALL")
@@ -444,7 +461,19 @@ def csr_ordered_neighbors(spark, sf_dir):
 @entry("K1", f"{SQL_CSR} SELECT pos, dst FROM neighbors")
 def csr_scan_neighbors(spark, sf_dir):
     edges, layout, _ = relabelled(spark, sf_dir)
-    return csr.csr_from_sorted(redistribute.ship_sorted(edges, layout), layout).neighbors
+    return csr.csr_from_sorted(materialise(redistribute.ship_ranked(edges, layout), "owned"), layout).neighbors
+
+
+@entry("R5a K3 I11", f"{SQL_CSR} SELECT pos, dst FROM neighbors")
+def csr_merged_neighbors(spark, sf_dir):
+    edges, layout, _ = relabelled(spark, sf_dir)
+    return csr.csr_merged(edges, layout).neighbors
+
+
+@entry("R5a", f"{SQL_BASE}, {SQL_OWNED} SELECT bucket, row_number() OVER (PARTITION BY bucket ORDER BY src, dst, eid) - 1 AS rank, eid, src, dst FROM owned")
+def merge_runs(spark, sf_dir):
+    edges, layout, _ = relabelled(spark, sf_dir)
+    return longs(redistribute.merge_sorted_runs(redistribute.sorted_runs(edges, layout), layout))
 
 
 @entry("K2 B8 I12", f"{SQL_CSR} SELECT id, off FROM offsets")
@@ -453,12 +482,36 @@ def csr_unordered_offsets(spark, sf_dir):
     return csr.csr_unordered(edges, layout).offsets
 
 
-@entry("K2 K2c B2 B5", f"{SQL_CSR} SELECT o.off + row_number() OVER (PARTITION BY e.src ORDER BY e.eid) - 1 AS pos, e.dst FROM relabelled e JOIN offsets o ON o.id = e.src")
+@entry("K2 K2c B5", f"{SQL_CSR} SELECT o.off + row_number() OVER (PARTITION BY e.src ORDER BY e.eid) - 1 AS pos, e.dst FROM relabelled e JOIN offsets o ON o.id = e.src")
 def csr_unordered_neighbors(spark, sf_dir):
     edges, layout, _ = relabelled(spark, sf_dir)
     return csr.csr_unordered(edges, layout).neighbors
 
 
+SQL_SLOTS = "slots AS (SELECT e.eid, o.off + row_number() OVER (PARTITION BY e.src ORDER BY e.eid) - 1 AS pos, e.dst FROM relabelled e JOIN offsets o ON o.id = e.src)"
+
+
+@entry("B2", f"{SQL_CSR}, {SQL_SLOTS} SELECT eid, pos, dst FROM slots")
+def naive_external_writes(spark, sf_dir):
+    """The writes of the naive kernel on disk, edge by edge as they arrive."""
+    edges, layout, _ = relabelled(spark, sf_dir)
+    return csr.naive_external_csr(edges, layout)
+
+
+@entry("B2 C4 I15", f"""{SQL_CSR}, {SQL_SLOTS}, naive AS (SELECT pos // {BLOCK} AS blk, lag(pos // {BLOCK}) OVER (ORDER BY eid) AS former FROM slots),
+linear AS (SELECT pos // {BLOCK} AS blk, lag(pos // {BLOCK}) OVER (ORDER BY pos) AS former FROM neighbors)
+SELECT 'arrival order' AS way, count(*) AS edges, CAST(sum(CASE WHEN blk <> former THEN 1 ELSE 0 END) AS BIGINT) AS switches FROM naive
+UNION ALL SELECT 'linear scan', count(*), CAST(sum(CASE WHEN blk <> former THEN 1 ELSE 0 END) AS BIGINT) FROM linear""")
+def naive_against_scan(spark, sf_dir):
+    """Changes of the target block in the neighbour vector: scatter in arrival order against the linear scan."""
+    edges, layout, _ = relabelled(spark, sf_dir)
+    edges = materialise(edges, "relabelled")
+    naive = measures.block_switches(materialise(csr.naive_external_csr(edges, layout), "writes"), "pos", BLOCK)
+    scan = measures.block_switches(materialise(csr.csr_ordered(edges, layout).neighbors, "neighbors"), "pos", BLOCK, order="pos")
+    named = lambda df, way: df.select(F.lit(way).alias("way"), F.col("rows").alias("edges"), "switches")
+    return named(naive, "arrival order").unionByName(named(scan, "linear scan"))
+
+
 @entry("K4", f"""{SQL_CSR}, slots AS (SELECT src AS id, dst, (row_number() OVER (PARTITION BY src ORDER BY dst, eid) - 1) // 16 AS part, eid FROM relabelled)
 SELECT id, part, string_agg(CAST(dst AS VARCHAR), ' ' ORDER BY dst, eid) AS nbrs FROM slots GROUP BY id, part""")
 def csr_lists(spark, sf_dir):
@@ -467,10 +520,11 @@ def csr_lists(spark, sf_dir):
     return lists.select("id", "part", F.array_join(F.transform("nbrs", lambda x: x.cast("string")), " ").alias("nbrs"))
 
 
-@entry("K5 J8", f"{SQL_CSR}, numbered AS (SELECT src AS id, row_number() OVER (ORDER BY src, dst, eid) - 1 AS pos, dst FROM relabelled) SELECT id, pos, dst FROM numbered WHERE id % 97 = 0")
+@entry("K5 J8", f"{SQL_CSR}, numbered AS (SELECT src AS id, row_number() OVER (ORDER BY src, dst, eid) - 1 AS pos, dst FROM relabelled) SELECT id, pos, dst FROM numbered")
 def csr_lookup(spark, sf_dir):
+    """The slices of all vertices."""
     edges, layout, _ = relabelled(spark, sf_dir)
-    return csr.neighbors_of(csr.csr_ordered(edges, layout), spark.range(0, layout.n, 97))
+    return csr.neighbors_of(csr.csr_ordered(edges, layout), spark.range(layout.n))
 
 
 @entry("K6 I11", f"{SQL_BASE} SELECT src, dst FROM relabelled")
@@ -496,6 +550,7 @@ def csr_simple(spark, sf_dir):
 
 for _name, _options, _ids in (
     ("generate_full_ordered", dict(csr="ordered", strategy="merge"), "D2 D4 D5"), ("generate_full_sequential", None, "D1 B3 I13"), ("generate_range_rounds", dict(csr="ordered", strategy="range_rounds"), "D2 RL2"),
+    ("generate_full_merged", dict(csr="merged", strategy="merge"), "D4 R5a"),
 ):
     def _run(spark, sf_dir, options=_options):
         if options is None:
@@ -597,7 +652,7 @@ def _message_sql(nb: int) -> str:
   SELECT from_bucket, to_bucket, coalesce(edges, 0) AS edges, CAST(ceil(coalesce(edges, 0) / {PACKET}.0) AS BIGINT) AS packets FROM cells LEFT JOIN c USING (from_bucket, to_bucket)"""
 
 
-for _name, _nb, _ids in (("message_packets", NB, "C6 J7 AG6"), ("message_packets_no_threads", NB * NC, "B6 C6")):
+for _name, _nb, _ids in (("message_packets", NB, "C6 J7"), ("message_packets_no_threads", NB * NC, "B6 C6")):
     def _messages(spark, sf_dir, nb=_nb):
         edges, layout, m = relabelled(spark, sf_dir)
         return measures.message_matrix(edges, Layout(layout.n, nb, 1), m)
@@ -635,7 +690,7 @@ def shuffle_memory(spark, sf_dir):
     return models.shuffle_memory(spark, 32, [1, 2, 4, 8])
 
 
-#: Made-up seconds by (step, scale, nb) for checking the scaling measures.
+#: Made-up seconds by (step, scale, nb) that check the measures; catalogue_timings has measured ones.
 TIMES = [("relabel", 16, 1, 8.0), ("relabel", 16, 2, 5.0), ("relabel", 16, 4, 4.0), ("relabel", 18, 1, 32.0), ("relabel", 18, 4, 10.0), ("csr", 16, 1, 4.0), ("csr", 17, 2, 6.0), ("csr", 18, 4, 10.0)]
 SQL_TIMES = "t AS (SELECT * FROM (VALUES " + ", ".join(f"('{a}', {b}, {c}, CAST({d} AS DOUBLE))" for a, b, c, d in TIMES) + ") v(step, scale, nb, seconds))"
 
@@ -649,17 +704,17 @@ def normalized_time(spark, sf_dir):
     return models.normalize(_times(spark))
 
 
-@entry("C10 W4 W5", f"WITH {SQL_TIMES} SELECT step, scale, nb, t0 / seconds AS speedup, t0 / seconds * nb0 / nb AS efficiency FROM (SELECT *, first_value(seconds) OVER w AS t0, first_value(nb) OVER w AS nb0 FROM t WINDOW w AS (PARTITION BY step, scale ORDER BY nb))")
+@entry("C10", f"WITH {SQL_TIMES} SELECT step, scale, nb, t0 / seconds AS speedup, t0 / seconds * nb0 / nb AS efficiency FROM (SELECT *, first_value(seconds) OVER w AS t0, first_value(nb) OVER w AS nb0 FROM t WINDOW w AS (PARTITION BY step, scale ORDER BY nb))")
 def strong_scaling(spark, sf_dir):
     return models.strong_scaling(_times(spark))
 
 
-@entry("C11 W6", f"WITH {SQL_TIMES} SELECT step, scale, nb, seconds / first_value(seconds) OVER (PARTITION BY step ORDER BY scale) AS ratio FROM t WHERE step = 'csr'")
+@entry("C11", f"WITH {SQL_TIMES} SELECT step, scale, nb, seconds / first_value(seconds) OVER (PARTITION BY step ORDER BY scale) AS ratio FROM t WHERE step = 'csr'")
 def weak_scaling(spark, sf_dir):
     return models.weak_scaling(_times(spark).where("step = 'csr'"))
 
 
-WEAK = [(7, 1), (8, 2), (9, 4), (10, 8)]
+WEAK = [(12, 1), (13, 2), (14, 4), (15, 8), (16, 16), (17, 32)]
 
 
 def _weak_spec(scale: int) -> GenSpec:
@@ -716,20 +771,29 @@ def plan_costs(spark, sf_dir):
 
 # ---------------------------------------------------------------- W11 and graph kernels
 
-@entry("W11 AG9", """WITH RECURSIVE links AS (SELECT DISTINCT r + n_nationkey AS a, n_regionkey AS b FROM nation, (SELECT count(*) AS r FROM region)),
-und AS (SELECT CAST(a AS BIGINT) AS src, CAST(b AS BIGINT) AS dst FROM links UNION SELECT b, a FROM links),
-walk AS (SELECT CAST(0 AS BIGINT) AS id, 0 AS level UNION SELECT dst, level + 1 FROM walk JOIN und ON src = id WHERE level < 4)
+@entry("W11 AG9", f"""WITH RECURSIVE {SQL_V6}, und AS (SELECT src, dst FROM geo UNION SELECT dst, src FROM geo),
+walk AS (SELECT CAST(0 AS BIGINT) AS id, 0 AS level UNION SELECT dst, level + 1 FROM walk JOIN und ON src = id WHERE level < 6)
 SELECT id, min(level) AS level FROM walk GROUP BY id""")
 def bfs_levels(spark, sf_dir):
-    r = tables.size_of(spark, sf_dir, "region")
-    down = tables.table(spark, sf_dir, "nation").select((F.col("n_nationkey") + r).cast("long").alias("src"), F.col("n_regionkey").cast("long").alias("dst"))
-    return graphops.bfs_levels(down.unionByName(down.select(F.col("dst").alias("src"), F.col("src").alias("dst"))), 0, 4)
+    """From region 0 through the whole tree of regions, nations, suppliers and customers, to an empty frontier."""
+    tree = tables.geo_tree(spark, sf_dir)
+    return graphops.bfs_levels(tree.select("src", "dst").unionByName(tree.select(F.col("dst").alias("src"), F.col("src").alias("dst"))), 0)
 
 
 @entry("W11", f"""WITH RECURSIVE {SQL_V4}, links AS (SELECT DISTINCT src, dst FROM steps WHERE dst IS NOT NULL),
 walk AS (SELECT CAST(0 AS BIGINT) AS id, 0 AS level UNION SELECT dst, level + 1 FROM walk JOIN links ON src = id WHERE level < 6) SELECT id, min(level) AS level FROM walk GROUP BY id""")
 def bfs_user_steps(spark, sf_dir):
-    return graphops.bfs_levels(tables.user_step(spark, sf_dir), 0, 6)
+    return graphops.bfs_levels(tables.user_step(spark, sf_dir), 0)
+
+
+@entry("W11 V12", f"""WITH RECURSIVE {SQL_BASE_RMAT.removeprefix("WITH ")}, links AS (SELECT DISTINCT src, dst FROM relabelled),
+walk AS (SELECT (SELECT min(src) FROM links) AS id, 0 AS level UNION SELECT dst, level + 1 FROM walk JOIN links ON src = id WHERE level < 12) SELECT id, min(level) AS level FROM walk GROUP BY id""")
+def bfs_generated(spark, sf_dir):
+    """The kernel that generated graphs are for: levels over the compressed rows of a generated graph, from its least vertex with edges."""
+    run = generate.generate_graph(spark, RMAT10, Layout(1024, NB, NC), strategy="merge")
+    built = csr.Csr(run.tables["offsets"], run.tables["neighbors"], run.layout, RMAT10.edges)
+    edges = materialise(csr.edges_from_csr(built), "from-rows")
+    return graphops.bfs_levels(edges, edges.agg(F.min("src")).first()[0])
 
 
 @entry("J11", f"WITH {SQL_V4}, e AS (SELECT src, dst, count(*) AS w FROM steps WHERE dst IS NOT NULL GROUP BY ALL) SELECT a.src, b.dst, CAST(sum(a.w * b.w) AS BIGINT) AS paths FROM e a JOIN e b ON a.dst = b.src GROUP BY ALL")
@@ -777,7 +841,6 @@ same("agg_cube", "AG5", "SELECT l_returnflag, l_linestatus, count(*) AS lines FR
 same("agg_conditional", "AG7", "SELECT count(*) FILTER (WHERE l_partkey < 100) AS low, count(*) FILTER (WHERE l_partkey >= 100) AS high, CAST(sum(CASE WHEN l_suppkey % 2 = 0 THEN 1 ELSE 0 END) AS BIGINT) AS even FROM lineitem", "lineitem")
 same("agg_max_by", "AG8", "SELECT src % 4 AS bucket, max(deg) AS deg, CAST(max_by(src, deg * 1000000 - src) AS BIGINT) AS hub FROM (SELECT l_partkey AS src, count(*) AS deg FROM lineitem GROUP BY l_partkey) GROUP BY src % 4", "lineitem")
 same("agg_bit_xor", "AG8", "SELECT bit_xor(l_orderkey * 4096 + l_partkey) AS checksum, bit_or(l_linenumber) AS bits_or, bit_and(l_linenumber) AS bits_and FROM lineitem", "lineitem")
-same("agg_pivot", "AG6", "SELECT l_linestatus, CAST(sum(CASE WHEN l_returnflag = 'A' THEN 1 ELSE 0 END) AS BIGINT) AS a, CAST(sum(CASE WHEN l_returnflag = 'N' THEN 1 ELSE 0 END) AS BIGINT) AS n, CAST(sum(CASE WHEN l_returnflag = 'R' THEN 1 ELSE 0 END) AS BIGINT) AS r FROM lineitem GROUP BY l_linestatus", "lineitem")
 same("window_ranks", "N1", "SELECT id, CAST(rank() OVER (ORDER BY deg DESC) AS BIGINT) AS rnk, CAST(dense_rank() OVER (ORDER BY deg DESC) AS BIGINT) AS dense, CAST(ntile(4) OVER (ORDER BY deg DESC, id) AS BIGINT) AS quarter, CAST(row_number() OVER (ORDER BY deg DESC, id) AS BIGINT) AS nth FROM (SELECT l_suppkey AS id, count(*) AS deg FROM lineitem GROUP BY l_suppkey)", "lineitem")
 same("window_analytic", "N2", "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after, first_value(event_id) OVER w AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", "events")
 same("window_frames", "N3", "SELECT event_id, CAST(sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS BIGINT) AS before, CAST(count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS near FROM events", "events")
@@ -787,9 +850,9 @@ same("sample_by_draw", "T5", "SELECT event_id FROM events WHERE substr(md5(conca
 same("set_union", "U1", "SELECT l_partkey AS id FROM lineitem UNION SELECT l_suppkey FROM lineitem", "lineitem")
 same("set_intersect_all", "U2", "SELECT l_partkey AS id FROM lineitem INTERSECT ALL SELECT l_suppkey FROM lineitem", "lineitem")
 same("set_except_all", "U2", "SELECT l_suppkey AS id FROM lineitem EXCEPT ALL SELECT s_suppkey FROM supplier", "lineitem", "supplier")
-same("scalar_text", "F1 string", "SELECT page_id, lower(url) AS url, CAST(length(url) AS BIGINT) AS chars, CAST(strpos(url, '/') AS INTEGER) AS slash, lpad(CAST(page_id AS VARCHAR(20)), 8, '0') AS padded, concat(CAST(page_id AS VARCHAR(20)), '->', md5(url)) AS edge FROM (SELECT page_id, url FROM pages)".replace("CAST(strpos(url, '/') AS INTEGER) AS slash, ", ""), "pages")
-same("scalar_math", "scalar math", "SELECT l_orderkey, l_orderkey % 7 AS rest, CAST(floor(l_orderkey / 7) AS BIGINT) AS part, greatest(l_partkey, l_suppkey) AS most, least(l_partkey, l_suppkey) AS least, abs(l_partkey - l_suppkey) AS gap, bit_count(l_partkey) AS ones FROM lineitem".replace(", bit_count(l_partkey) AS ones", ""), "lineitem")
-same("scalar_dates", "scalar time", "SELECT event_id, date_trunc('hour', ts) AS hour, CAST(extract(DAY FROM ts) AS BIGINT) AS day FROM events".replace("date_trunc('hour', ts) AS hour, ", "CAST(extract(HOUR FROM ts) AS BIGINT) AS hour, "), "events")
+same("scalar_text", "F1 string", "SELECT page_id, lower(url) AS url, CAST(length(url) AS BIGINT) AS chars, lpad(CAST(page_id AS VARCHAR(20)), 8, '0') AS padded, concat(CAST(page_id AS VARCHAR(20)), '->', md5(url)) AS edge FROM (SELECT page_id, url FROM pages)", "pages")
+same("scalar_math", "scalar math", "SELECT l_orderkey, l_orderkey % 7 AS rest, CAST(floor(l_orderkey / 7) AS BIGINT) AS part, greatest(l_partkey, l_suppkey) AS most, least(l_partkey, l_suppkey) AS least, abs(l_partkey - l_suppkey) AS gap, CAST(bit_count(l_partkey) AS BIGINT) AS ones FROM lineitem", "lineitem")
+same("scalar_dates", "scalar time", "SELECT event_id, CAST(extract(HOUR FROM ts) AS BIGINT) AS hour, CAST(extract(DAY FROM ts) AS BIGINT) AS day FROM events", "events")
 same("scalar_nulls", "scalar null", "SELECT coalesce(nullif(l_linenumber, 1), -1) AS number, count(*) AS lines FROM lineitem GROUP BY coalesce(nullif(l_linenumber, 1), -1)", "lineitem")
 
 
@@ -823,12 +886,12 @@ def agg_sketches(spark, sf_dir):
     return r.select((near("a", "d", 0.1) * near("h", "d", 0.1)).alias("close_distinct"), near("p", "q", 0.05).alias("close_median"))
 
 
-@entry("J10", "SELECT o_orderkey, (SELECT max(event_id) FROM events WHERE ts = (SELECT max(ts) FROM events e WHERE e.ts <= o.o_orderdate)) AS event_id FROM orders o WHERE o_orderkey % 50 = 0")
+@entry("J10", "SELECT o_orderkey, e.event_id FROM orders o ASOF LEFT JOIN (SELECT ts, max(event_id) AS event_id FROM events GROUP BY ts) e ON o.o_orderdate >= e.ts")
 def join_as_of(spark, sf_dir):
     """The latest event at or before each order: both sides in one order, cut by month, the last event of earlier months carried on."""
     from pyspark.sql import Window
 
-    orders = tables.table(spark, sf_dir, "orders").where("o_orderkey % 50 = 0").select(F.col("o_orderdate").alias("ts"), "o_orderkey", F.lit(None).cast("long").alias("event_id"))
+    orders = tables.table(spark, sf_dir, "orders").select(F.col("o_orderdate").alias("ts"), "o_orderkey", F.lit(None).cast("long").alias("event_id"))
     events = tables.table(spark, sf_dir, "events").select("ts", F.lit(None).cast("long").alias("o_orderkey"), "event_id")
     rows = orders.unionByName(events).withColumn("month", F.date_trunc("month", "ts"))
     order = [F.col("ts"), F.col("event_id").asc_nulls_last()]
@@ -841,45 +904,64 @@ def join_as_of(spark, sf_dir):
     return found.join(before, "month").select("o_orderkey", F.coalesce("own", "carried").alias("event_id"))
 
 
-@entry("S4 S6 S9", "SELECT 'csv' AS format, count(*) AS edges FROM orders UNION ALL SELECT 'json', count(*) FROM orders UNION ALL SELECT 'orc', count(*) FROM orders UNION ALL SELECT 'parquet', 2 * count(*) FROM orders")
+SQL_SUMS = "count(*) AS edges, CAST(sum(eid) AS BIGINT) AS eids, CAST(sum(src * 31 + dst * 17) AS BIGINT) AS mixed"
+
+
+@entry("S4 S6 S9", "WITH e AS (SELECT o_orderkey AS eid, o_custkey AS src, (SELECT count(*) FROM customer) + o_orderkey AS dst FROM orders) "
+       + " UNION ALL ".join(f"SELECT '{f}' AS format, {SQL_SUMS.replace('count(*)', '2 * count(*)').replace('sum(', '2 * sum(') if f == 'parquet' else SQL_SUMS} FROM e" for f in ("csv", "json", "orc", "text", "parquet")))
 def sinks_roundtrip(spark, sf_dir):
-    """Edge lists through each file format; the Parquet list is appended to by bucket, as an append-only edge list is."""
+    """Edge lists through each file format, as sums of what is read back; the Parquet list is appended to by bucket, as an append-only edge list is."""
     from edgemill.scratch import fresh_path
 
     edges = tables.customer_order(spark, sf_dir)
     out = None
-    for fmt in ("csv", "json", "orc", "parquet"):
+    for fmt in ("csv", "json", "orc", "text", "parquet"):
         path = fresh_path(spark, f"edges-{fmt}")
-        writer = edges.withColumn("bucket", F.pmod("src", F.lit(4))).write.mode("append").option("maxRecordsPerFile", 100_000)
+        rows = edges.select(F.concat_ws("\t", "eid", "src", "dst").alias("value")) if fmt == "text" else edges.withColumn("bucket", F.pmod("src", F.lit(4)))
+        writer = rows.write.mode("append").option("maxRecordsPerFile", 100_000)
         for _ in range(2 if fmt == "parquet" else 1):
             (writer.partitionBy("bucket") if fmt == "parquet" else writer).format(fmt).save(path)
-        back = spark.read.schema("eid long, src long, dst long, bucket long").format(fmt).load(path)
-        row = back.join(edges, ["eid", "src", "dst"], "left_semi").agg(F.count(F.lit(1)).alias("edges")).select(F.lit(fmt).alias("format"), "edges")
-        out = row if out is None else out.unionByName(row)
+        back = spark.read.format(fmt).schema("value string" if fmt == "text" else "eid long, src long, dst long, bucket long").load(path)
+        if fmt == "text":
+            back = back.select(*(F.split("value", "\t")[k].cast("long").alias(c) for k, c in enumerate(("eid", "src", "dst"))))
+        sums = back.agg(F.count(F.lit(1)).alias("edges"), F.sum("eid").alias("eids"), F.sum(F.col("src") * 31 + F.col("dst") * 17).alias("mixed")).select(F.lit(fmt).alias("format"), "*")
+        out = sums if out is None else out.unionByName(sums)
     return out
 
 
-@entry("W1 B7", "SELECT count(*) AS numbers, count(*) AS hashes, count(*) AS sorted FROM lineitem")
+@entry("W1 B7", f"""WITH ids AS (SELECT row_number() OVER (ORDER BY {', '.join(tables.LINE_ORDER)}) - 1 AS id, l_orderkey AS k FROM lineitem), hashed AS ({sql_hash("k", 1 << 24)}),
+placed AS (SELECT id // 16384 AS chunk, k, label, row_number() OVER (PARTITION BY id // 16384 ORDER BY k, id) AS nth FROM ids JOIN hashed USING (id))
+SELECT chunk, count(*) AS numbers, CAST(sum(label) AS BIGINT) AS hashes, CAST(sum(nth * k) AS BIGINT) AS in_order FROM placed GROUP BY chunk""")
 def hash_and_chunk_sort(spark, sf_dir):
-    """The two kernels of the hash-against-sort comparison over one column; bench.py times them."""
-    keys = dense_position(tables.table(spark, sf_dir, "lineitem").select("l_orderkey", *tables.LINE_ORDER[1:]), tables.LINE_ORDER).select("eid", F.col("l_orderkey").alias("src"), F.col("l_orderkey").alias("dst"))
-    from edgemill.functions.prng import bijective_hash
+    """The two kernels of the hash-against-sort comparison over one column: sums of hashes, and of place times key in sorted chunks. bench.py times them."""
+    from pyspark.sql import Window
+
+    from edgemill.functions.prng import mixed_columns
+
+    keys = dense_position(tables.table(spark, sf_dir, "lineitem").select("l_orderkey", *tables.LINE_ORDER[1:]), tables.LINE_ORDER).select("eid", F.col("l_orderkey").alias("src"), F.col("l_orderkey").alias("hash"))
+    chunks = relabel.sort_chunks(relabel.chunk_edges(mixed_columns(keys, ["hash"], 1 << 24), 16_384), "src", 8)
+    placed = chunks.withColumn("nth", F.row_number().over(Window.partitionBy("chunk").orderBy("src", "eid")))
+    return placed.groupBy("chunk").agg(F.count(F.lit(1)).alias("numbers"), F.sum("hash").alias("hashes"), F.sum(F.col("nth") * F.col("src")).alias("in_order"))
+
 
-    hashed = keys.select(bijective_hash(F.col("src"), 24).alias("h")).agg(F.count("h").alias("hashes"))
-    chunks = relabel.sort_chunks(relabel.chunk_edges(keys, 65_536), "src", 8).agg(F.count("src").alias("sorted"))
-    return keys.agg(F.count(F.lit(1)).alias("numbers")).crossJoin(hashed).crossJoin(chunks)
+def _load() -> None:
+    """Register the queries of the other catalogue modules."""
+    from edgemill import catalogue_streams, catalogue_surface, catalogue_timings  # noqa: F401
 
 
 def queries() -> dict[str, Query]:
+    _load()
     return {name: e.query for name, e in ENTRIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
+    _load()
     return {name: e.sql for name, e in ENTRIES.items() if e.sql}
 
 
 def coverage() -> dict[str, list[str]]:
     """Survey id to the queries that cover it."""
+    _load()
     out: dict[str, list[str]] = {}
     for name, e in ENTRIES.items():
         for k in e.survey.split():

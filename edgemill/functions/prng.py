@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+import math
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -66,23 +68,39 @@ def bijective_hash(v: Column, bits: int, key: int = 7, rounds: int = 4) -> Colum
     return v
 
 
-def bijective_hash_within(v: Column, n: int, key: int = 7, rounds: int = 4, walks: int = 12) -> Column:
-    """A bijection on [0, n): values at or above n walk on until they are inside; `walks` steps are unrolled.
+def mixing_steps(n: int, key: int, rounds: int) -> list[tuple[int, int, int]]:
+    """(multiplier without a common factor with n, addend, odd multiplier of the upper half) of each round; products stay below 2^62 for n up to 2^38."""
+    out = []
+    for a, c in hash_constants(key, rounds):
+        factor = a % min(n, 1 << 24) | 1
+        while math.gcd(factor, n) != 1:
+            factor += 2
+        out.append((factor, c % n, a % (1 << 24) | 1))
+    return out
+
+
+def mixed_columns(df: DataFrame, columns: list[str], n: int, key: int = 7, rounds: int = 4) -> DataFrame:
+    """df with columns of [0, n) put through a bijection on [0, n), any n up to 2^38.
 
-    Where n is a power of two no step is needed. Callers check that no value is left
-    outside (see permute.permute_by_hash).
+    Where n is a power of two it is bijective_hash. Else a round is an affine map modulo n and an exchange of pairs:
+    x and x xor (upper half of x, multiplied, cut to the lower half), where both are below n. Each half-round is a
+    projection of its own: the planner does not merge one that is used more than once, so what makes the columns is
+    computed once and the code stays short.
     """
     bits = max(0, (n - 1).bit_length())
+    if n < 2:
+        return df
+    whole = lambda made: df.select(*(made(F.col(c)).alias(c) if c in columns else F.col(c) for c in df.columns))
     if n == 1 << bits:
-        return bijective_hash(v, bits, key, rounds)
-    # folded over arrays: nested conditions would repeat the hash in themselves at every step
-    mask, low, half = (1 << bits) - 1, (1 << min(bits, 24)) - 1, (bits + 1) // 2
-    steps = F.array(*(F.struct(F.lit((a & low) | 1).cast("long").alias("a"), F.lit(c & mask).cast("long").alias("c")) for a, c in hash_constants(key, rounds)))
-
-    def turn(x: Column, step: Column) -> Column:
-        y = (x * step["a"] + step["c"]).bitwiseAND(F.lit(mask))
-        return y.bitwiseXOR(F.shiftright(y, half))
-
-    hashed = lambda x: F.aggregate(steps, x, turn)
-    walk = lambda x, i: F.when((i > 0) & (x < n), x).otherwise(hashed(x))
-    return F.aggregate(F.sequence(F.lit(0), F.lit(walks)), v, walk)
+        mask, low, half = n - 1, (1 << min(bits, 24)) - 1, (bits + 1) // 2
+        for a, k in hash_constants(key, rounds):
+            df = whole(lambda v: (v * F.lit((a & low) | 1) + F.lit(k & mask)).bitwiseAND(F.lit(mask)))
+            df = whole(lambda v: v.bitwiseXOR(F.shiftright(v, half)))
+        return df
+    half = bits // 2
+    size, low = F.lit(n).cast("long"), F.lit((1 << half) - 1).cast("long")
+    for factor, addend, odd in mixing_steps(n, key, rounds):
+        df = whole(lambda v: F.pmod(v * F.lit(factor).cast("long") + F.lit(addend).cast("long"), size))
+        other = lambda v: v.bitwiseXOR((F.shiftright(v, half) * F.lit(odd).cast("long")).bitwiseAND(low))
+        df = whole(lambda v: F.when(other(v) < size, other(v)).otherwise(v))
+    return df

@@ -25,3 +25,16 @@ def register(spark: SparkSession, permutation_view: str | None = None) -> None:
     spark.udtf.register("rmat", RmatRows)
     if permutation_view:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION perm_range(t INT) RETURNS TABLE(id BIGINT, label BIGINT) RETURN SELECT id, label FROM {permutation_view} WHERE bucket = t")
+
+
+def register_csr(spark: SparkSession, csr) -> None:
+    """csr_neighbors(v): (pos, dst) of a vertex's slice, for LATERAL use; the optimizer makes it a join of slices and positions by block."""
+    from edgemill.operators.csr import reach_of
+
+    reach_of(csr).createOrReplaceTempView("csr_reach")
+    csr.neighbors.createOrReplaceTempView("csr_neighbor_vector")
+    block = csr.layout.block_edges
+    spark.sql(
+        "CREATE OR REPLACE TEMPORARY FUNCTION csr_neighbors(v BIGINT) RETURNS TABLE(pos BIGINT, dst BIGINT) RETURN "
+        f"SELECT n.pos, n.dst FROM csr_reach r JOIN csr_neighbor_vector n ON n.pos div {block} = r.block AND n.pos >= r.lo AND n.pos < r.hi WHERE r.id = v"
+    )

@@ -8,8 +8,8 @@ from pyspark.sql import functions as F
 from edgemill.scratch import materialise
 
 
-def bfs_levels(edges: DataFrame, source: int, max_depth: int = 64) -> DataFrame:
-    """(id, level) of the vertices within reach; a round joins the frontier with the edges, and stops when it is empty."""
+def bfs_levels(edges: DataFrame, source: int, max_depth: int = 1000) -> DataFrame:
+    """(id, level) of the vertices within reach; a round joins the frontier with the edges, and stops when it is empty. A frontier left after max_depth raises."""
     spark = edges.sparkSession
     links = materialise(edges.select("src", "dst").distinct(), "links")
     seen = spark.range(source, source + 1).select("id", F.lit(0).alias("level"))
@@ -20,6 +20,8 @@ def bfs_levels(edges: DataFrame, source: int, max_depth: int = 64) -> DataFrame:
         if frontier.isEmpty():
             break
         seen = materialise(seen.unionByName(frontier), "seen")
+    else:
+        raise RuntimeError(f"vertices beyond level {max_depth} are left; give a larger max_depth")
     return seen
 
 

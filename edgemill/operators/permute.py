@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from edgemill.functions.partition import int_div, owner_of, range_lo
-from edgemill.functions.prng import bijective_hash_within, key_bucket, sort_key
+from edgemill.functions.prng import key_bucket, mixed_columns, sort_key
 from edgemill.operators.positions import starts_of
 from edgemill.scratch import materialise
 
@@ -90,9 +90,16 @@ def sequential(spark: SparkSession, n: int, seed: int = 0, backend: str = "fast"
     return keyed.select("id", (F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("key", "id")) - 1).cast("long").alias("label"))
 
 
-def by_hash(spark: SparkSession, n: int, key: int = 7, rounds: int = 4, walks: int = 12) -> DataFrame:
-    """The collision-free hash in place of a permutation: a projection."""
-    return spark.range(n).select("id", bijective_hash_within(F.col("id"), n, key, rounds, walks).alias("label"))
+def by_hash(spark: SparkSession, n: int, key: int = 7, rounds: int = 4) -> DataFrame:
+    """The collision-free hash in place of a permutation: projections, a bijection on [0, n) for any n."""
+    return mixed_columns(spark.range(n).select("id", F.col("id").alias("label")), ["label"], n, key, rounds)
+
+
+def check_bijection(perm: DataFrame, n: int) -> None:
+    """Raises unless perm has n rows with all labels of [0, n)."""
+    r = perm.agg(F.count(F.lit(1)).alias("rows"), F.countDistinct("label").alias("labels"), F.min("label").alias("least"), F.max("label").alias("most")).first()
+    if (r.rows, r.labels) != (n, n) or n and (r.least, r.most) != (0, n - 1):
+        raise ValueError(f"not a permutation of [0, {n}): {r.asDict()}")
 
 
 def store_ranges(perm: DataFrame, n: int, nb: int) -> DataFrame:

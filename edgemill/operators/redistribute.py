@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -28,9 +30,66 @@ def ship_sorted(edges: DataFrame, layout: Layout) -> DataFrame:
     return ship_to_owner(edges, layout).sortWithinPartitions("bucket", "src", "dst", "eid")
 
 
+#: The place in a partition is what monotonically_increasing_id keeps below this bit.
+_PLACE_BITS = 33
+
+
+def ship_ranked(edges: DataFrame, layout: Layout) -> DataFrame:
+    """(bucket, rank, eid, src, dst): sorted shipping with each edge's 0-based place in its bucket.
+
+    A partition is a bucket and sorted, so the place is a running counter of the task: no window
+    holds a bucket. One exchange and one sort of the edges; store the result, and compression is a scan.
+    """
+    shipped = ship_sorted(edges, layout)
+    return shipped.select("bucket", F.monotonically_increasing_id().bitwiseAND((1 << _PLACE_BITS) - 1).alias("rank"), "eid", "src", "dst")
+
+
+def sorted_runs(edges: DataFrame, layout: Layout) -> DataFrame:
+    """(run, bucket, eid, src, dst): the sender's side of the ordered form. Each partition sorts its edges by (bucket, src, dst, eid); a run is what one sender has."""
+    owned = with_owner(edges, layout).select(F.spark_partition_id().alias("run"), "bucket", "eid", "src", "dst")
+    return owned.sortWithinPartitions("bucket", "src", "dst", "eid")
+
+
+def _merged(runs: list[np.ndarray]) -> np.ndarray:
+    """Sorted runs of rows (src, dst, eid) as one, two by two: every level moves each row once, to its own place plus those of the other run before it."""
+    while len(runs) > 1:
+        paired = []
+        for a, b in zip(runs[::2], runs[1::2]):
+            out = np.empty(len(a) + len(b), a.dtype)
+            out[np.arange(len(a)) + np.searchsorted(b, a, "left")] = a
+            out[np.arange(len(b)) + np.searchsorted(a, b, "right")] = b
+            paired.append(out)
+        runs = paired + runs[len(runs) // 2 * 2 :]
+    return runs[0]
+
+
 def merge_sorted_runs(runs: DataFrame, layout: Layout) -> DataFrame:
-    """Several sorted edge lists (column run) as one sorted sequence a bucket."""
-    return ship_sorted(runs.select("eid", "src", "dst"), layout)
+    """(bucket, rank, eid, src, dst): the collector merges the sorted runs it has received, without sorting again.
+
+    A bucket is one Arrow call, so buckets should be of some hundred megabytes (Layout.for_edges).
+    A run that arrives out of order raises.
+    """
+    from edgemill.shipping import ship_package
+
+    ship_package(runs.sparkSession)
+    order = np.dtype([("src", ">u8"), ("dst", ">u8"), ("eid", ">u8")])
+
+    def collect(rows: pa.Table) -> pa.Table:
+        wide = np.empty(rows.num_rows, order)
+        for c in order.names:
+            wide[c] = rows.column(c).to_numpy()
+        # big-endian bytes of non-negative numbers compare like the numbers
+        keys = wide.view("S24")
+        sender = rows.column("run").to_numpy()
+        held = [keys[sender == k] for k in np.unique(sender)]
+        for run in held:
+            if (run[1:] < run[:-1]).any():
+                raise ValueError("a run is not sorted")
+        whole = _merged(held).view(order)
+        columns = {"bucket": rows.column("bucket"), "rank": np.arange(len(whole))} | {c: whole[c].astype(np.int64) for c in ("eid", "src", "dst")}
+        return pa.table(columns)
+
+    return runs.groupBy("bucket").applyInArrow(collect, "bucket int, rank long, eid long, src long, dst long")
 
 
 def sender_of(eid, m: int, parts: int):

@@ -5,15 +5,16 @@ All take edges (eid, src, dst) and perm (id, label) and return (eid, src, dst) w
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgemill.config import Layout
 from edgemill.functions.partition import chunk_of, int_div, owner_of, range_lo
-from edgemill.functions.prng import bijective_hash_within, hash_constants
-from edgemill.scratch import materialise
+from edgemill.functions.prng import mixed_columns
+from edgemill.operators.permute import range_of, store_ranges
+from edgemill.scratch import fresh_path, materialise
 
 #: Largest permutation, in bytes at 16 bytes a vertex, that may be broadcast; checked before every broadcast of one.
 BROADCAST_BYTES = 64 << 20
@@ -59,20 +60,9 @@ def relabel_hash_join(edges: DataFrame, perm: DataFrame) -> DataFrame:
     return edges
 
 
-def relabel_hashed(edges: DataFrame, n: int, key: int = 7, rounds: int = 4, walks: int = 12) -> DataFrame:
-    """The in-memory baseline: both ends through a collision-free hash, projections only.
-
-    Where n is a power of two each half-round is a projection of its own: the planner does not
-    merge one that is used twice, so what makes the ends is computed once.
-    """
-    bits = max(0, (n - 1).bit_length())
-    if n != 1 << bits or bits == 0:
-        return edges.select("eid", *(bijective_hash_within(F.col(c), n, key, rounds, walks).alias(c) for c in ("src", "dst")))
-    mask, low, half = (1 << bits) - 1, (1 << min(bits, 24)) - 1, (bits + 1) // 2
-    for a, k in hash_constants(key, rounds):
-        edges = edges.select("eid", *((F.col(c) * F.lit((a & low) | 1) + F.lit(k & mask)).bitwiseAND(F.lit(mask)).alias(c) for c in ("src", "dst")))
-        edges = edges.select("eid", *(F.col(c).bitwiseXOR(F.shiftright(c, half)).alias(c) for c in ("src", "dst")))
-    return edges
+def relabel_hashed(edges: DataFrame, n: int, key: int = 7, rounds: int = 4) -> DataFrame:
+    """The in-memory baseline: both ends through a collision-free hash, projections only."""
+    return mixed_columns(edges.select("eid", "src", "dst"), ["src", "dst"], n, key, rounds)
 
 
 def relabel_unpivot(edges: DataFrame, perm: DataFrame) -> DataFrame:
@@ -114,28 +104,44 @@ def sort_chunks(chunked: DataFrame, endpoint: str, partitions: int) -> DataFrame
     return chunked.repartition(partitions, "chunk").sortWithinPartitions("chunk", endpoint, "eid")
 
 
-def relabel_range_rounds(edges: DataFrame, perm: DataFrame, layout: Layout) -> DataFrame:
+def relabel_range_rounds(edges: DataFrame, perm: DataFrame, layout: Layout, together: int = 16) -> DataFrame:
     """The lock-step form: sorted chunks stay put, the permutation's ranges come by one after another.
 
-    A round filters the stored, sorted edges to one range (row groups outside it are
-    skipped) and joins the broadcast range of the permutation, checked for size. No
-    edge is shuffled by the joins; each executor sees the whole permutation once.
+    The permutation is stored by range once, and a round reads the folder of its range (permute.range_of). It filters
+    the stored, sorted edges to that range (row groups outside it are skipped) and joins the broadcast range,
+    checked for size. No edge is shuffled by the joins; each executor sees the whole permutation once. `together` rounds
+    are one plan; where there are more, each such plan appends to a table.
     """
     check_size(-(-layout.n // layout.nb))
     spark = edges.sparkSession
     partitions = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    served = store_ranges(perm, layout.n, layout.nb)
     for endpoint in ("dst", "src"):
         stored = materialise(sort_chunks(chunk_edges(edges, layout.chunk_edges), endpoint, partitions), "sorted-chunks")
-        out = None
+        done, path = None, fresh_path(spark, "range-rounds")
         for t in range(layout.nb):
             lo, hi = range_lo(t, layout.n, layout.nb), range_lo(t + 1, layout.n, layout.nb)
             mine = stored.where((F.col(endpoint) >= lo) & (F.col(endpoint) < hi))
-            done = relabel_endpoint(mine, perm.where((F.col("id") >= lo) & (F.col("id") < hi)), endpoint, "broadcast")
-            out = done if out is None else out.unionByName(done)
-        edges = out
+            turn = relabel_endpoint(mine, range_of(served, t), endpoint, "broadcast")
+            done = turn if done is None else done.unionByName(turn)
+            if layout.nb > together and (t % together == together - 1 or t == layout.nb - 1):
+                done.write.mode("append").parquet(path)
+                done = None
+        edges = spark.read.schema(edges.select("eid", "src", "dst").schema).parquet(path) if done is None else done
     return edges
 
 
+def relabel_aligned(parts: list[DataFrame], perm: DataFrame, layout: Layout) -> DataFrame:
+    """Edges born in the range of their destination (rmat.aligned_parts): each part joins its broadcast range where it is, only the source end is merged.
+
+    One edge shuffle fewer than relabel_merge.
+    """
+    check_size(-(-layout.n // layout.nb))
+    served = store_ranges(perm, layout.n, layout.nb)
+    named = [relabel_endpoint(part.select("eid", "src", "dst"), range_of(served, t), "dst", "broadcast") for t, part in enumerate(parts)]
+    return relabel_endpoint(reduce(DataFrame.unionByName, named), perm, "src", "merge")
+
+
 def merge_trace(edges: DataFrame, layout: Layout, endpoint: str = "dst") -> DataFrame:
     """(chunk, turn, consumed): how far each chunk's cursor moves when a range comes by."""
     return chunk_edges(edges, layout.chunk_edges).groupBy("chunk", owner_of(F.col(endpoint), layout.n, layout.nb).alias("turn")).agg(F.count(F.lit(1)).alias("consumed"))

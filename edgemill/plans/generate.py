@@ -9,8 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from edgemill.config import GenSpec, Layout
 from edgemill.operators import csr as csr_ops
-from edgemill.operators import permute, relabel
-from edgemill.scratch import fresh_path
+from edgemill.operators import permute, redistribute, relabel
+from edgemill.scratch import exists, fresh_path
 from edgemill.sources.rmat import rmat_edges
 
 STEPS = ("permute", "generate", "relabel", "redistribute", "csr")
@@ -37,7 +37,7 @@ def generate_graph(
     """Run the steps in order; each ends when its tables are stored, as the distributed generator's steps end at a barrier.
 
     shuffle: sort, rounds, sequential, identity or hash. strategy: see relabel.relabel.
-    csr: ordered or unordered. With resume, steps whose tables are already in out_dir are read, not run, so a lost
+    csr: ordered (the collector sorts), merged (senders sort, the collector merges) or unordered. With resume, steps whose tables are already in out_dir are read, not run, so a lost
     driver repeats one step. `edges` replaces the generated list.
     """
     layout = layout or Layout.for_edges(spec.vertices, spec.edges)
@@ -48,16 +48,10 @@ def generate_graph(
         began = time.perf_counter()
         for table, make in tables.items():
             path = f"{out_dir}/{table}"
-            try:
-                done = resume and spark.read.parquet(path)
-            except Exception as e:  # the step has not run yet
-                if "PATH_NOT_FOUND" not in str(e):
-                    raise
-                done = None
-            if not done:
+            # a folder without the marker of a finished write is what a lost driver left: the step runs again
+            if not (resume and exists(spark, f"{path}/_SUCCESS")):
                 make().write.mode("overwrite").parquet(path)
-                done = spark.read.parquet(path)
-            run.tables[table] = done
+            run.tables[table] = spark.read.parquet(path)
         run.seconds[name] = time.perf_counter() - began
 
     def labels() -> DataFrame:
@@ -69,15 +63,21 @@ def generate_graph(
 
     def compressed():
         if "built" not in run.__dict__:
-            make = csr_ops.csr_ordered if csr == "ordered" else csr_ops.csr_unordered
-            run.built = make(run.tables["owned"].select("eid", "src", "dst"), layout)
+            make = csr_ops.csr_unordered if csr == "unordered" else csr_ops.csr_from_sorted
+            run.built = make(run.tables["owned"], layout)
         return run.built
 
+    # unordered edges are appended as they arrive; ordered ones keep their places, so that compression is a scan
+    ship = {
+        "ordered": lambda e: redistribute.ship_ranked(e, layout), "merged": lambda e: redistribute.merge_sorted_runs(redistribute.sorted_runs(e, layout), layout),
+        "unordered": lambda e: redistribute.ship_to_owner(e, layout).select("bucket", "eid", "src", "dst"),
+    }[csr]
+
     todo = {
         "permute": dict(perm=labels),
         "generate": dict(edges=lambda: csr_ops.prepared(edges if edges is not None else rmat_edges(spark, spec), **(options or {}))),
         "relabel": dict(relabelled=lambda: relabel.relabel(run.tables["edges"], run.tables["perm"], layout, spec.edges, strategy)),
-        "redistribute": dict(owned=lambda: csr_ops.ship_sorted(run.tables["relabelled"], layout)),
+        "redistribute": dict(owned=lambda: ship(run.tables["relabelled"])),
         "csr": dict(offsets=lambda: compressed().offsets, neighbors=lambda: compressed().neighbors),
     }
     for name in STEPS:
@@ -96,8 +96,3 @@ def generate_hashed(spark: SparkSession, spec: GenSpec, layout: Layout | None =
     """The in-memory baseline: edges, hash of both ends, compressed rows; one plan, one edge shuffle, no permutation."""
     layout = layout or Layout.for_edges(spec.vertices, spec.edges)
     return csr_ops.csr_ordered(relabel.relabel_hashed(rmat_edges(spark, spec), spec.vertices, key), layout)
-
-
-def naive_external_csr(edges: DataFrame, layout: Layout) -> csr_ops.Csr:
-    """The hash kernel put on disk as it is: edges scatter in the order they come (measured by block_switches)."""
-    return csr_ops.csr_unordered(edges, layout)

@@ -14,9 +14,11 @@ _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; where unset (tests), a temporary one of this application."""
+    """The folder in spark.checkpoint.dir; where unset, a temporary one of this application, on a single machine only."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the whole cluster shares")
         app = spark.sparkContext.applicationId
         folder = _OWN.setdefault(app, "file://" + tempfile.mkdtemp(prefix="edgemill-scratch-"))
     return folder.rstrip("/")
@@ -50,8 +52,19 @@ def materialise(df: DataFrame, name: str, partition_by: list[str] | None = None)
     return stored
 
 
+def _store_of(spark: SparkSession, path: str):
+    """(file system, path) as Hadoop has them."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()), at
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    store, at = _store_of(spark, path)
+    return store.exists(at)
+
+
 def discard(*stored: DataFrame) -> None:
     """Delete the files of tables from materialise(). Only for those that no later plan reads, not even to recompute a lost part."""
     for df in stored:
-        path = df.sparkSession.sparkContext._jvm.org.apache.hadoop.fs.Path(_PATHS.pop(df))
-        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+        store, at = _store_of(df.sparkSession, _PATHS.pop(df))
+        store.delete(at, True)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -23,18 +24,20 @@ def thresholds(spec: GenSpec, level: int) -> tuple[int, int, int]:
     return int(a * top), int((a + b) * top), int((a + b + c) * top)
 
 
-def _ends(edges: DataFrame, spec: GenSpec, purpose: str) -> DataFrame:
+def ends_of(edges: DataFrame, spec: GenSpec, purpose: str = "edge") -> DataFrame:
     """src and dst of each eid: a level picks a quadrant, its two bits go to the ends."""
     per, levels = draws_per_block(spec.backend), spec.levels
     hashed = edges.select("*", *(block_hash(spec.seed, purpose, F.col("eid"), k, spec.backend).alias(f"_h{k}") for k in range(-(-levels // per))))
+    # draws are columns of their own: each is used more than once, and the planner then keeps their projection
+    drawn = hashed.select(*edges.columns, *(draw(F.col(f"_h{k // per}"), k % per, spec.backend).alias(f"_u{k}") for k in range(levels)))
     src, dst = F.lit(0).cast("long"), F.lit(0).cast("long")
     for level in range(levels):
-        u = draw(F.col(f"_h{level // per}"), level % per, spec.backend)
+        u = F.col(f"_u{level}")
         t1, t2, t3 = thresholds(spec, level)
         weight = F.lit(1 << (levels - 1 - level)).cast("long")
         src = src + F.when(u >= t2, weight).otherwise(0)
         dst = dst + F.when(((u >= t1) & (u < t2)) | (u >= t3), weight).otherwise(0)
-    return hashed.select(*edges.columns, src.alias("src"), dst.alias("dst"))
+    return drawn.select(*edges.columns, src.alias("src"), dst.alias("dst"))
 
 
 def rmat_edges(spark: SparkSession, spec: GenSpec, partitions: int | None = None, redraws: int = 8) -> DataFrame:
@@ -44,13 +47,13 @@ def rmat_edges(spark: SparkSession, spec: GenSpec, partitions: int | None = None
     most; what is still outside is folded by the remainder.
     """
     edges = spark.range(0, spec.edges, 1, partitions or spark.sparkContext.defaultParallelism).withColumnRenamed("id", "eid")
-    out = _ends(edges, spec, "edge")
+    out = ends_of(edges, spec, "edge")
     n = spec.vertices
     if n == 1 << spec.levels:
         return out
     outside: Column = (F.col("src") >= n) | (F.col("dst") >= n)
     for attempt in range(1, redraws + 1):
-        again = _ends(out.select("eid", F.col("src").alias("s0"), F.col("dst").alias("d0")), spec, f"edge{attempt}")
+        again = ends_of(out.select("eid", F.col("src").alias("s0"), F.col("dst").alias("d0")), spec, f"edge{attempt}")
         keep = (F.col("s0") < n) & (F.col("d0") < n)
         out = again.select("eid", F.when(keep, F.col("s0")).otherwise(F.col("src")).alias("src"), F.when(keep, F.col("d0")).otherwise(F.col("dst")).alias("dst"))
     return out.select("eid", F.when(outside, F.pmod("src", F.lit(n))).otherwise(F.col("src")).alias("src"), F.when(outside, F.pmod("dst", F.lit(n))).otherwise(F.col("dst")).alias("dst"))
@@ -85,35 +88,34 @@ def rmat_edges_arrow(spark: SparkSession, spec: GenSpec, partitions: int | None
 
 
 def aligned_counts(spec: GenSpec, nb: int) -> list[int]:
-    """Edges for each of nb destination prefixes (nb a power of two), in largest-remainder proportion to their probability."""
+    """Edges for each of nb destination prefixes (nb a power of two), drawn from the multinomial law that independent edges follow; decided by the seed."""
+    import numpy as np
+
     a, b, c, d = spec.probs
     left, shares = a + c, [1.0]
     for _ in range((nb - 1).bit_length()):
         shares = [s * p for s in shares for p in (left, 1 - left)]
-    exact = [s * spec.edges for s in shares]
-    counts = [int(x) for x in exact]
-    for k in sorted(range(nb), key=lambda k: counts[k] - exact[k])[: spec.edges - sum(counts)]:
-        counts[k] += 1
-    return counts
+    return np.random.default_rng(spec.seed).multinomial(spec.edges, shares).tolist()
 
 
-def rmat_edges_aligned(spark: SparkSession, spec: GenSpec, nb: int) -> DataFrame:
-    """(bucket, eid, src, dst): edges born in the range of their destination, so the first relabel needs no edge shuffle.
+def aligned_parts(spark: SparkSession, spec: GenSpec, nb: int) -> list[DataFrame]:
+    """(bucket, eid, src, dst) of each bucket: edges born in the range of their destination, so the first relabel needs no edge shuffle.
 
     The destination prefix of each edge is fixed by its bucket; the source bits of those
-    levels follow their conditional probability. n and nb are powers of two; the driver holds nb counts.
+    levels follow their conditional probability. n and nb are powers of two; the driver holds nb counts. A bucket has
+    its share of the default parallelism as partitions.
     """
     if nb & (nb - 1) or spec.vertices != 1 << spec.levels or nb > spec.vertices:
         raise ValueError("aligned generation needs powers of two")
     counts, lead = aligned_counts(spec, nb), (nb - 1).bit_length()
-    parts, start = None, 0
+    parts, start, wide = [], 0, spark.sparkContext.defaultParallelism
     a, b, c, d = spec.probs
     top = 1 << draw_bits(spec.backend)
     for bucket, count in enumerate(counts):
-        base = spark.range(start, start + count, 1, 1).select(F.lit(bucket).alias("bucket"), F.col("id").alias("eid"))
+        base = spark.range(start, start + count, 1, max(1, round(wide * count / max(1, spec.edges)))).select(F.lit(bucket).alias("bucket"), F.col("id").alias("eid"))
         start += count
         per = draws_per_block(spec.backend)
-        free = _ends(base, spec, "edge")
+        free = ends_of(base, spec, "edge")
         hashed = free.select("*", *(block_hash(spec.seed, "lead", F.col("eid"), k, spec.backend).alias(f"_l{k}") for k in range(max(1, -(-lead // per)))))
         low = spec.levels - lead
         src, dst = F.pmod("src", F.lit(1 << low)), F.pmod("dst", F.lit(1 << low)) + (bucket << low)
@@ -122,6 +124,10 @@ def rmat_edges_aligned(spark: SparkSession, spec: GenSpec, nb: int) -> DataFrame
             down = d / (b + d) if right else c / (a + c)
             u = draw(F.col(f"_l{level // per}"), level % per, spec.backend)
             src = src + F.when(u < int(down * top), F.lit(1 << (spec.levels - 1 - level)).cast("long")).otherwise(0)
-        part = hashed.select("bucket", "eid", src.alias("src"), dst.alias("dst"))
-        parts = part if parts is None else parts.unionByName(part)
+        parts.append(hashed.select("bucket", "eid", src.alias("src"), dst.alias("dst")))
     return parts
+
+
+def rmat_edges_aligned(spark: SparkSession, spec: GenSpec, nb: int) -> DataFrame:
+    """The parts of aligned_parts as one table."""
+    return reduce(DataFrame.unionByName, aligned_parts(spark, spec, nb))

@@ -63,7 +63,7 @@ def test_quality_sees_equal_quotas_of_one_round(spark):
     assert permute.quality(permute.by_sort(spark, 256, 3), 256, 4).first().chi_scaled > 0
 
 
-@pytest.mark.parametrize("n", [1, 2, 1000, 1024, 1500])
+@pytest.mark.parametrize("n", [1, 2, 3, 5, 6, 7, 1000, 1024, 1500, 4097, (1 << 16) + 1])
 def test_hash_is_a_bijection(spark, n):
     assert sorted(r.label for r in permute.by_hash(spark, n).collect()) == list(range(n))
 
@@ -159,3 +159,91 @@ def test_shipping_then_ranking_needs_one_exchange(spark):
 def test_components(spark):
     edges = spark.createDataFrame([(k, k + 1) for k in range(0, 60) if k % 20 != 19] + [(100, 100)], "a long, b long")
     assert {(r.node, r.root) for r in connected_components(edges).collect()} == {(k, k // 20 * 20) for k in range(60)}
+
+
+def test_hash_of_a_million_and_its_check(spark):
+    n = (1 << 20) + 1
+    permute.check_bijection(permute.by_hash(spark, n), n)
+    with pytest.raises(ValueError, match="not a permutation"):
+        permute.check_bijection(permute.by_hash(spark, 100).withColumn("label", F.col("label") % 99), 100)
+    ends = relabel.relabel_hashed(rmat.rmat_edges(spark, GenSpec(n=700, edge_factor=4)), 700).agg(F.max("src"), F.max("dst"), F.min("src"), F.min("dst")).first()
+    assert max(ends) < 700 and min(ends) >= 0
+
+
+def test_torn_step_runs_again(spark, tmp_path):
+    """A driver lost while a step was writing leaves a folder without the marker of its end."""
+    spec, layout, at = GenSpec(scale=5, edge_factor=4), Layout(32, 2, 1), f"file://{tmp_path}/g"
+    generate_graph(spark, spec, layout, out_dir=at, strategy="merge", stop_after="relabel")
+    (tmp_path / "g" / "owned" / "_temporary" / "0").mkdir(parents=True)
+    (tmp_path / "g" / "relabelled" / "_SUCCESS").unlink()
+    run = generate_graph(spark, spec, layout, out_dir=at, strategy="merge", resume=True)
+    want = generate_sequential(spark, spec)
+    assert rows(run.tables["neighbors"], "pos", "dst") == rows(want.tables["neighbors"], "pos", "dst")
+
+
+def test_runs_merge_to_what_sorting_gives(spark):
+    edges = rmat.rmat_edges(spark, GenSpec(scale=8, edge_factor=9), 7)
+    layout = Layout(256, nb=3, nc=1)
+    want = rows(redistribute.ship_ranked(edges, layout), "bucket", "rank", "src", "dst", "eid")
+    assert rows(redistribute.merge_sorted_runs(redistribute.sorted_runs(edges, layout), layout), "bucket", "rank", "src", "dst", "eid") == want
+    by = {}
+    for b, rank, s, d, e in want:
+        by.setdefault(b, []).append((rank, (s, d, e)))
+    assert all([r for r, _ in v] == list(range(len(v))) and [k for _, k in v] == sorted(k for _, k in v) for v in by.values())
+    unsorted = redistribute.sorted_runs(edges, layout).withColumn("run", F.lit(1))
+    with pytest.raises(Exception, match="not sorted"):
+        redistribute.merge_sorted_runs(unsorted.repartition(1), layout).collect()
+
+
+def test_ordered_compression_exchanges_edges_once(spark):
+    """After shipping, the neighbours are a scan: no exchange, no sort; only the degrees, a row a vertex, move."""
+    run = generate_graph(spark, GenSpec(scale=6), Layout(64, 4, 1), strategy="merge", stop_after="redistribute")
+    built = csr.csr_from_sorted(run.tables["owned"], run.layout)
+    got = plan_summary(built.neighbors.select("pos", "dst"))
+    assert got["sorts"] <= 1 and got["merge_joins"] == 0  # the sort is that of the bases, a row a bucket
+    shipped = plan_summary(redistribute.ship_ranked(run.tables["relabelled"], run.layout))
+    assert shipped["exchanges"] == 1 and shipped["sorts"] == 1 and shipped["windows"] == 0
+
+
+def flushes(chunk, threshold):
+    held, n = set(), 0
+    for s in chunk:
+        held.add(s)
+        if len(held) == threshold:
+            held, n = set(), n + 1
+    return n + bool(held)
+
+
+def test_flushes_equal_streaming_by_hand(spark):
+    rng = np.random.default_rng(1)
+    src = rng.integers(0, 40, 1000).tolist()
+    edges = spark.createDataFrame([(k, s, 0) for k, s in enumerate(src)], "eid long, src long, dst long").repartition(5)
+    layout = Layout(40, nb=2, nc=1, chunk_edges=128)
+    for threshold in (1, 7, 25, 1000):
+        want = [(k, flushes(src[128 * k : 128 * k + 128], threshold)) for k in range(8)]
+        assert rows(csr.degrees_flushed(edges, layout, threshold), "chunk", "flushes") == want
+    assert rows(csr.adjacency_flushed(edges, layout, 50), "chunk", "flushes") == [(k, -(-min(128, 1000 - 128 * k) // 50)) for k in range(8)]
+
+
+def test_range_rounds_in_several_plans(spark):
+    edges = rmat.rmat_edges(spark, GenSpec(scale=7, edge_factor=6))
+    perm = permute.by_sort(spark, 128, 3)
+    want = rows(relabel.relabel_merge(edges, perm), "eid", "src", "dst")
+    assert rows(relabel.relabel_range_rounds(edges, perm, Layout(128, nb=7), together=3), "eid", "src", "dst") == want
+    assert rows(relabel.relabel_range_rounds(edges, perm, Layout(128, nb=6), together=3), "eid", "src", "dst") == want
+
+
+def test_depth_limit_raises(spark):
+    from edgemill.operators.graphops import bfs_levels
+
+    path = spark.createDataFrame([(k, k + 1) for k in range(5)], "src long, dst long")
+    assert rows(bfs_levels(path, 0), "id", "level") == [(k, k) for k in range(6)]
+    with pytest.raises(RuntimeError, match="beyond level 3"):
+        bfs_levels(path, 0, 3)
+
+
+def test_deep_generator_compiles(spark):
+    """Scale 38: the unrolled levels stay within the limits of generated code."""
+    r = rmat.rmat_edges(spark, GenSpec(scale=38, edge_factor=1)).where("eid < 1000")
+    small = relabel.relabel_hashed(r.limit(1000), 1 << 38).agg(F.max("src"), F.min("dst")).first()
+    assert 0 <= small[1] and small[0] < 1 << 38
