@@ -32,7 +32,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from edgemill.llm.common import discard, fresh_path, id_and_text, materialise, ship_package
+from edgemill.llm.common import fresh_path, id_and_text, materialise, ship_package
 from edgemill.llm.wordtokens import end_every, word_encoder
 
 MAGIC = b"IDPACK02"
@@ -159,23 +159,50 @@ def _open(path: str):
     return pafs.FileSystem.from_uri(path)
 
 
-def _encoded(docs: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
-    """(doc_id, text_order, ids): ids of each whole text and the end id, as 16-bit numbers where the vocabulary allows that, else 32."""
+def _keys(doc_ids: pa.Array, text_order: pa.Array) -> np.ndarray:
+    """Bytes that compare like (has an id, id, text_order)."""
+    out = np.empty((len(doc_ids), 17), np.uint8)
+    out[:, 0] = 1 - doc_ids.is_null().to_numpy(zero_copy_only=False)
+    for lo, column in ((1, pc.fill_null(doc_ids, 0)), (9, text_order)):
+        out[:, lo : lo + 8] = (column.to_numpy().astype(np.int64).view(np.uint64) ^ np.uint64(1 << 63)).astype(">u8").view(np.uint8).reshape(-1, 8)
+    return out.view("S17").reshape(-1)
+
+
+def _bounds(keyed: DataFrame, files: int, most: int = 1_000_000) -> np.ndarray:
+    """`files` - 1 keys that cut the documents into even ranges, from a sample of ids and text hashes (at most about `most` rows, no texts); they decide where files end, nothing else."""
+    share = min(1.0, min(100 * files, most) / max(1, keyed.count()))
+    sample = keyed.sample(share, 1).toArrow().combine_chunks() if share < 1 else keyed.toArrow().combine_chunks()
+    if not sample.num_rows:
+        return np.zeros(0, "S17")
+    keys = np.sort(_keys(*(sample.column(k).combine_chunks() for k in (0, 1))))
+    return keys[np.arange(1, files) * len(keys) // files]
+
+
+def _parts(keys: np.ndarray, bounds: np.ndarray, spread: np.ndarray) -> np.ndarray:
+    """The range of each key. Equal keys that several bounds share are dealt over all ranges that may hold them."""
+    first, last = np.searchsorted(bounds, keys, "left"), np.searchsorted(bounds, keys, "right")
+    return (first + spread % (last - first + 1)).astype(np.int32)
+
+
+def _encoded(keyed: DataFrame, tokenizer: str, end_id: int, bounds: np.ndarray) -> DataFrame:
+    """(part, doc_id, text_order, ids): ids of each whole text and the end id, as 16-bit numbers where the vocabulary allows that, else 32."""
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = word_encoder(tokenizer)
+        encoder, seen = word_encoder(tokenizer), 0
         width = _width(bits_for(encoder.vocabulary))
         for batch in batches:
+            parts = pa.array(_parts(_keys(batch.column(0), batch.column(1)), bounds, seen + np.arange(batch.num_rows)))
+            seen += batch.num_rows
             at = 0
             for ids, counts in encoder.encode(batch.column(2)):
                 ids, counts = end_every(ids, counts, end_id)
                 data, ends = pa.py_buffer(ids.astype(f"<u{width}").tobytes()), np.cumsum(counts) * width
                 packed = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(counts), [None, pa.py_buffer(np.append(0, ends).astype("<i8").tobytes()), data])
-                yield pa.RecordBatch.from_arrays([batch.column(k).slice(at, len(counts)) for k in (0, 1)] + [packed.cast(pa.binary())], ["doc_id", "text_order", "ids"])
+                columns = [x.slice(at, len(counts)) for x in (parts, batch.column(0), batch.column(1))]
+                yield pa.RecordBatch.from_arrays([*columns, packed.cast(pa.binary())], ["part", "doc_id", "text_order", "ids"])
                 at += len(counts)
 
-    ordered = id_and_text(docs).select("doc_id", F.xxhash64("text").alias("text_order"), "text")
-    return ordered.mapInArrow(encode, "doc_id long, text_order long, ids binary")
+    return keyed.mapInArrow(encode, "part int, doc_id long, text_order long, ids binary")
 
 
 def _width(bits: int) -> int:
@@ -185,9 +212,9 @@ def _width(bits: int) -> int:
 def write_packed(docs: DataFrame, tokenizer: str, end_id: int, folder: str | None = None, files: int | None = None) -> DataFrame:
     """Encode every whole text, end each with `end_id`, and write files of ascending id ranges; returns the list of files.
 
-    Columns of the result: part (ascending with the ids), path, first_doc, n_docs, n_tokens. Texts are encoded where they are
-    read and never shuffled; their ids (two bytes each for a vocabulary of up to 65,536) are stored and range partitioned by
-    doc_id, then text, then row, so that a repeated id, too, spreads over files; a task streams its range.
+    Columns of the result: part (ascending with the ids), path, first_doc, n_docs, n_tokens. Texts are encoded once, where they
+    are read, and never shuffled; their ids (two bytes each for a vocabulary of up to 65,536) are, by ranges of doc_id, then
+    text, and equal rows are dealt over all files of their range; a task streams its range.
     """
     spark = docs.sparkSession
     ship_package(spark)
@@ -218,11 +245,10 @@ def write_packed(docs: DataFrame, tokenizer: str, end_id: int, folder: str | Non
             raw.close()
             yield pa.RecordBatch.from_pydict({"part": pa.array([TaskContext.get().partitionId()], pa.int32()), "path": [f"{folder}/{name}"], "first_doc": pa.array([first], pa.int64()), "n_docs": [sum(map(len, sink.docs))], "n_tokens": [sink.total]})
 
-    encoded = materialise(_encoded(docs, tokenizer, end_id), "encoded")
-    order = ["doc_id", "text_order"]
-    dealt = encoded.withColumn("row", F.monotonically_increasing_id()).repartitionByRange(files, *order, "row").sortWithinPartitions(*order)
+    keyed = id_and_text(docs).select("doc_id", F.xxhash64("text").alias("text_order"), "text")
+    encoded = _encoded(keyed, tokenizer, end_id, _bounds(keyed.select("doc_id", "text_order"), files))
+    dealt = encoded.repartitionById(files, F.col("part")).sortWithinPartitions("doc_id", "text_order")
     stored = materialise(dealt.select("doc_id", "ids").mapInArrow(write, FILE_SCHEMA), "packed-files")
-    discard(encoded)
     _delete_others(stored, folder)
     return stored
 

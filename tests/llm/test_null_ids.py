@@ -38,6 +38,14 @@ def test_bitpack_puts_documents_without_id_first(spark):
     assert [(r.doc_id, r.ids_crc32) for r in again] == [(r.doc_id, r.ids_crc32) for r in got]
 
 
+def test_a_repeated_row_spreads_over_files(spark):
+    rows = [(7, "the same row again and again")] * 300 + [(k, f"row {k}") for k in range(60)]
+    files = bitpack.write_packed(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), PATH, 2, files=12)
+    assert files.count() > 8 and max(r.n_docs for r in files.collect()) < 120
+    got = sorted(bitpack.read_packed(files).collect(), key=lambda r: r.start)
+    assert [r.doc_id for r in got] == sorted(d for d, _ in rows)
+
+
 def test_files_of_lost_attempts_go(spark, tmp_path):
     folder = f"file://{tmp_path}/packed"
     (tmp_path / "packed").mkdir()
