@@ -70,9 +70,25 @@ ranked AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY scor
 SELECT query_id, "rank", vec_id, score FROM ranked WHERE "rank" <= 10"""
 
 
+OP10_SQL = r"""
+WITH RECURSIVE docs AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+texts AS (SELECT text, min(doc_id) AS text_id, count(*) AS n_copies FROM docs GROUP BY text),
+words AS (SELECT text_id, regexp_extract_all(lower(text), '[\p{L}\p{N}_]+') AS w FROM texts),
+grams AS (SELECT DISTINCT text_id, gram FROM (
+  SELECT text_id, unnest(list_transform(range(1, greatest(len(w) - 4, 1) + 1), lambda k: array_to_string(w[k:k + 4], ' '))) AS gram FROM words WHERE len(w) > 0)),
+sizes AS (SELECT text_id, count(*) AS n FROM grams GROUP BY text_id),
+pairs AS (SELECT a.text_id AS x, b.text_id AS y, count(*) AS common FROM grams a JOIN grams b ON a.gram = b.gram AND a.text_id < b.text_id GROUP BY ALL),
+links AS (SELECT x, y FROM pairs JOIN sizes p ON p.text_id = x JOIN sizes q ON q.text_id = y WHERE common >= 0.8 * (p.n + q.n - common) - 1e-9),
+sides AS (SELECT x, y FROM links UNION ALL SELECT y, x FROM links),
+reach(x, y) AS (SELECT text_id, text_id FROM texts UNION SELECT r.x, s.y FROM reach r JOIN sides s ON s.x = r.y),
+classes AS (SELECT x AS text_id, min(y) AS class_id FROM reach GROUP BY x),
+linked AS (SELECT x AS text_id, count(*) AS n_links FROM sides GROUP BY x)
+SELECT d.doc_id, class_id, t.text_id, n_copies, coalesce(n_links, 0) AS n_links FROM docs d JOIN texts t USING (text) JOIN classes USING (text_id) LEFT JOIN linked USING (text_id)"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {f.__name__: f for f in (op1_toxicity, op2_sharding, op3_bitpack, op4_descriptors, op5_packing, op6_pii, op7_urlfilter, op8_topk, op9_bytebpe, op10_jaccard)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_urlfilter": urlfilter.oracle_sql(), "op8_topk": OP8_SQL}
+    return {"op7_urlfilter": urlfilter.oracle_sql(), "op8_topk": OP8_SQL, "op10_jaccard": OP10_SQL}
