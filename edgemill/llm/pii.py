@@ -37,8 +37,13 @@ _IP = re.compile(r"(?<![0-9])[0-9]+\.[0-9]+\.[0-9]+\.[0-9]+")
 _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 
-#: Spelled digits (fixed values).
-DIGIT_WORDS = {"zero": "0", "one": "1", "two": "2", "three": "3", "four": "4", "five": "5", "six": "6", "seven": "7", "eight": "8", "nine": "9"}
+#: Spelled digits, 0 to 9, in English, German, French and Spanish (fixed values).
+DIGIT_WORDS = {word: str(k) for words in (
+    "zero one two three four five six seven eight nine",
+    "null eins zwei drei vier fünf sechs sieben acht neun",
+    "zéro un deux trois quatre cinq six sept huit neuf",
+    "cero uno dos tres cuatro cinco seis siete ocho nueve",
+) for k, word in enumerate(words.split())}
 #: Look-alike letters of other scripts and the ASCII letters they pass for (fixed values).
 LOOK_ALIKES = {pair[0]: pair[1] for pair in (
     "АA ВB ЕE КK МM НH ОO РP СC ТT УY ХX аa еe оo рp сc уy хx іi јj ѕs һh ԁd ԛq ԝw "
@@ -50,7 +55,8 @@ _FULLWIDTH = {chr(0xFF00 + k): chr(0x20 + k) for k in range(1, 95)}
 _FOLD = _FULLWIDTH | LOOK_ALIKES | {c: "" for c in INVISIBLE}
 _FOLDED = re.compile("[" + "".join(map(re.escape, _FOLD)) + "]")
 _WORDS = "|".join(DIGIT_WORDS)
-_SPELLED = re.compile(rf"(?<![A-Za-z])(?:{_WORDS})(?:[\s-]+(?:{_WORDS}))*(?![A-Za-z])", re.I)
+_LETTER = r"[^\W\d_]"
+_SPELLED = re.compile(rf"(?<!{_LETTER})(?:{_WORDS})(?:[\s-]+(?:{_WORDS}))*(?!{_LETTER})", re.I)
 _PLUS = re.compile(r"(?<![A-Za-z])plus[ \t]+(?=[0-9])", re.I)
 #: Placeholders for an "at" or "dot" that stands as a plain word: they count only together.
 WEAK_AT, WEAK_DOT = "\ue000", "\ue001"

@@ -113,3 +113,21 @@ def test_spans_do_not_hang_on_other_triggers():
         assert alone == beside
     (_, base, every), = pii.findings(pa.array(["call +44 20 7946 0958 at 10, zero"]))
     assert base == every == [("phone", 5, 21)]
+
+
+@pytest.mark.parametrize("text,kind,source", [
+    ("ruf an: +49 eins sieben null 1234567 heute", "phone", "+49 eins sieben null 1234567"),
+    ("appelez +33 SEPT huit neuf zéro un deux 345", "phone", "+33 SEPT huit neuf zéro un deux 345"),
+    ("al +34 seis siete ocho nueve cero uno dos tres", "phone", "+34 seis siete ocho nueve cero uno dos tres"),
+    ("host 192.168.fünf.neun up", "ip", "192.168.fünf.neun"),
+])
+def test_digits_of_the_corpus_languages(text, kind, source):
+    (_, _, every), = pii.findings(pa.array([text]))
+    assert [(k, text[a:b]) for k, a, b in every] == [(kind, source)]
+    assert every == pii.find(text)[1]
+
+
+def test_words_that_only_hold_a_digit_word_stay():
+    for text in ("+49 einsam 1234567", "10.0.0.dosé", "la +34 unos 12345678", "10.0.0.neunzig"):
+        (_, base, every), = pii.findings(pa.array([text]))
+        assert every == base
