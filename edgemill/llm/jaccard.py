@@ -41,8 +41,8 @@ THRESHOLD, N = 0.8, 5
 BANDS, ROWS = 20, 4
 STEP = 16  # hash values compared between two looks at the posterior
 TOLERANCE = 1e-6
-BLOCK = 4096  # nodes in a block of signatures
-SET_BLOCK, SET_GRAMS = 1024, 1 << 20  # nodes and n-grams in a block of n-gram sets
+BLOCK = 1024  # nodes in a block
+BLOCK_GRAMS = 1 << 20  # n-grams in a block of n-gram sets
 JOIN_SCHEMA = "doc_id long, class_id long, text_id long, n_copies long, n_links long"
 
 
@@ -402,7 +402,7 @@ def _joined(docs: DataFrame, threshold: float = THRESHOLD, n: int = N, bands: in
 
     listed = components.join(texts.select("node", "text_id", "text_key", "n_grams"), "node")
     nodes = F.count(F.lit(1))
-    pieces = F.least(nodes, F.greatest(F.ceil(nodes / min(block, SET_BLOCK)), F.ceil(F.sum("n_grams") / SET_GRAMS)))
+    pieces = F.least(nodes, F.greatest(F.ceil(nodes / block), F.ceil(F.sum("n_grams") / BLOCK_GRAMS)))
     sized = materialise(listed.groupBy("root").agg(pieces.cast("long").alias("pieces")), "component-sizes")
     placed = listed.join(sized, "root")
     source = _one_of_each(docs)
