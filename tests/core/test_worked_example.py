@@ -244,6 +244,16 @@ def test_depth_limit_raises(spark):
 
 def test_deep_generator_compiles(spark):
     """Scale 38: the unrolled levels stay within the limits of generated code."""
-    r = rmat.rmat_edges(spark, GenSpec(scale=38, edge_factor=1)).where("eid < 1000")
-    small = relabel.relabel_hashed(r.limit(1000), 1 << 38).agg(F.max("src"), F.min("dst")).first()
-    assert 0 <= small[1] and small[0] < 1 << 38
+    edges = rmat.ends_of(spark.range(1000).withColumnRenamed("id", "eid"), GenSpec(scale=38))
+    ends = relabel.relabel_hashed(edges, 1 << 38).agg(F.max("src"), F.max("dst"), F.min("src"), F.min("dst")).first()
+    assert 0 <= min(ends) and 1 << 32 < max(ends) < 1 << 38
+
+
+@pytest.mark.parametrize("bits", [1, 7, 24, 38])
+def test_hash_columns_equal_the_expression(spark, bits):
+    from edgemill.functions.prng import bijective_hash, mixed_columns
+
+    n = 1 << bits
+    ids = spark.range(0, n, max(1, n // 300)).select("id", F.col("id").alias("label"))
+    bad = mixed_columns(ids, ["label"], n).where((F.col("label") != bijective_hash(F.col("id"), bits)) | ~F.col("label").between(0, n - 1))
+    assert bad.count() == 0
