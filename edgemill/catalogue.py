@@ -769,6 +769,16 @@ def plan_costs(spark, sf_dir):
     return spark.createDataFrame(rows, "variant string, node string, times int")
 
 
+#: Exchanges and sorts that the method needs: of the edges, and in joins of the permutation.
+EXPECTED = {"merge": (4, 4), "hash_join": (4, 0), "broadcast": (0, 0), "hashed": (0, 0), "ship_sorted": (1, 1)}
+
+
+@entry("C17 W10 I17", "SELECT * FROM (VALUES " + ", ".join(f"('{v}', '{node}', {n})" for v, both in EXPECTED.items() for node, n in zip(("exchanges", "sorts"), both)) + ") t(variant, node, times)")
+def plan_exchanges(spark, sf_dir):
+    """The plans whose shape their hints decide, against what the method needs."""
+    return plan_costs(spark, sf_dir).where(F.col("variant").isin(*EXPECTED) & F.col("node").isin("exchanges", "sorts"))
+
+
 # ---------------------------------------------------------------- W11 and graph kernels
 
 @entry("W11 AG9", f"""WITH RECURSIVE {SQL_V6}, und AS (SELECT src, dst FROM geo UNION SELECT dst, src FROM geo),

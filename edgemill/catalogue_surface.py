@@ -6,8 +6,9 @@ import uuid
 
 from pyspark.sql import functions as F
 
-from edgemill.catalogue import NB, RMAT10, SEED, SQL_BASE_RMAT, SQL_CSR, SQL_CUSTOMER_PERM, SQL_NC, base, entry, longs, perm_sort, relabelled, rmat10, same
+from edgemill.catalogue import NB, RMAT10, SEED, SQL_BASE_RMAT, SQL_CSR, SQL_CUSTOMER_PERM, entry, longs, perm_sort, relabelled, rmat10, same, sql_hash
 from edgemill.config import GenSpec, Layout
+from edgemill.functions.partition import register_sql
 from edgemill.operators import csr, permute, redistribute, relabel
 from edgemill.operators.positions import dense_position
 from edgemill.scratch import materialise
@@ -161,3 +162,11 @@ def scalar_hashes(spark, sf_dir):
     """Digests as text and as small numbers."""
     digest = F.conv(F.substring(F.md5(F.col("event_id").cast("string")), 1, 8), 16, 10).cast("long")
     return tables.table(spark, sf_dir, "events").select("event_id", F.md5(F.concat_ws(":", "event_type", "event_id")).alias("m"), F.sha2("event_type", 256).alias("s"), (digest % 64).alias("cell"))
+
+
+@entry("F1 B1", f"WITH ids AS (SELECT o_orderkey AS id FROM orders) {sql_hash('id', 1 << 24)}")
+def sql_hash_function(spark, sf_dir):
+    """The collision-free hash as a SQL function."""
+    register_sql(spark)
+    tables.register_views(spark, sf_dir, ["orders"])
+    return spark.sql("SELECT o_orderkey AS id, bijective_hash(o_orderkey) AS label FROM orders")
