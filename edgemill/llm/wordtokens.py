@@ -27,6 +27,8 @@ PIECE = rf"('s|'t|'re|'ve|'m|'ll|'d|[{SYMBOLS}]+|[0-9\x{{b2}}\x{{b3}}\x{{b9}}\x{
 UNUSUAL = r"[^\t\n\r\x20-\x7e\x{a1}-\x{24f}]|<\||\x{130}"
 #: Texts are encoded in slices of about so many bytes.
 SLICE_BYTES = 8 << 20
+#: The same for encoding by this vocabulary, whose arrays take some ten times a slice.
+ENCODE_BYTES = 4 << 20
 
 
 def byte_letters() -> dict[int, str]:
@@ -83,7 +85,7 @@ def slices(texts: pa.Array, most: int = SLICE_BYTES) -> Iterator[pa.Array]:
 
 
 class WordEncoder:
-    def __init__(self, path: str, memo: int = 200_000):
+    def __init__(self, path: str, memo: int = 100_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -111,7 +113,7 @@ class WordEncoder:
 
     def encode(self, texts: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """(ids of the texts end to end, number of ids of each text) for slices of the texts, in order; null is empty."""
-        for part in slices(pc.fill_null(texts, "")):
+        for part in slices(pc.fill_null(texts, ""), ENCODE_BYTES):
             odd = np.flatnonzero(pc.match_substring_regex(part, UNUSUAL).to_numpy(zero_copy_only=False))
             if not len(odd):
                 yield self.usual(part)
