@@ -3,8 +3,7 @@
 Fit. Words, and beginnings of words, of labelled rows are counted by label. Their scores
 are log-odds with an informative Dirichlet prior (the pooled counts of the fitted
 rows, scaled by `prior`), less `shrink` of their deviations. Words whose likelihood ratio stands out
-speak for label 1: so many that chance alone would give `false_share` of them (a step-up
-rule, which follows the data at any size). Every other word shares
+speak for label 1: it must be beyond what chance alone would give `false_cues` of so many words. Every other word shares
 one small negative score, the log-odds of "any other word".  The fit reads a
 bounded sample of labelled rows (`fit_rows`, the lowest hashes of doc_id, distinct
 texts), so its tables do not grow with the corpus; scoring covers every word of
@@ -163,17 +162,16 @@ def fit_k(p: np.ndarray, s: np.ndarray, lam: float, words: int = 2000, runs: int
     return float(np.exp(np.clip(lam * best.mean() - np.euler_gamma, -20.0, math.log(words))) / words)
 
 
-def least_root(bins: dict[int, int], false_share: float) -> float:
-    """The least signed root from which on so few cues are expected by chance that they are at most `false_share` of those found (step-up rule)."""
-    cues, found, least = sum(bins.values()), 0, math.inf
-    for k in sorted(bins, reverse=True):
-        found += bins[k]
-        if k > 0 and cues * 0.5 * math.erfc(k / 50 / math.sqrt(2)) <= false_share * found:
-            least = k / 50
-    return least
+def least_root(cues: int, false_cues: float) -> float:
+    """The least signed root from which on chance alone would give `false_cues` of so many cues."""
+    lo, hi = 0.0, 40.0
+    for _ in range(60):
+        mid = (lo + hi) / 2
+        lo, hi = (mid, hi) if cues * 0.5 * math.erfc(mid / math.sqrt(2)) > false_cues else (lo, mid)
+    return hi
 
 
-def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 40_000, prior: float = 0.05, shrink: float = 0.0, false_share: float = 0.2) -> ToxicModel:
+def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 40_000, prior: float = 0.05, shrink: float = 0.0, false_cues: float = 1e-4) -> ToxicModel:
     """Learn from at most `fit_rows` labelled rows that are not held out."""
     spark = docs.sparkSession
     ship_package(spark)
@@ -247,8 +245,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = 40_000, prior: float
     # what a word says, and what it would say without one of its rows of either label: a fitted row is weighed without itself
     cases = {"all": says(d1, d0), "less1": says(d1 - 1, d0), "less0": says(d1, F.greatest(d0 - 1, F.lit(0)))}
     rooted = words.select("word", "d1", *(x.alias(f"{name}_{part}") for name, both in cases.items() for part, x in zip(("says", "root"), both)))
-    bins = rooted.groupBy(F.floor(F.col("all_root") * 50).alias("bin")).agg(F.count(F.lit(1)).alias("n")).collect()  # a row for each fiftieth of a root
-    least = least_root({r.bin: r.n for r in bins}, false_share)
+    least = least_root(words.count(), false_cues)
     kept = lambda name: F.when((F.col(f"{name}_root") >= least) & (F.col("d1") >= F.lit(2 if name == "less1" else 1)), F.greatest(F.col(f"{name}_says"), F.lit(0.01))).otherwise(0.0)
     counts = rooted.select("word", *(kept(name).alias(name) for name in cases))
     # words of the fitted rows: the list is bounded by the sample, not the corpus
