@@ -6,6 +6,7 @@ import pytest
 from edgemill import catalogue
 
 NAMES = [
+    "io_model",
     "degree_histogram",
     "capped_memory",
     "biased_vs_relabelled_skew",
