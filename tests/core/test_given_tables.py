@@ -6,6 +6,7 @@ import pytest
 from edgemill import catalogue
 
 NAMES = [
+    "locality",
     "io_model",
     "degree_histogram",
     "capped_memory",
