@@ -6,6 +6,7 @@ import pytest
 from edgemill import catalogue
 
 NAMES = [
+    "memory_model",
     "locality",
     "io_model",
     "degree_histogram",
