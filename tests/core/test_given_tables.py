@@ -6,6 +6,7 @@ import pytest
 from edgemill import catalogue
 
 NAMES = [
+    "normalized_time",
     "memory_model",
     "locality",
     "io_model",
