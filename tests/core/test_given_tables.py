@@ -6,6 +6,7 @@ import pytest
 from edgemill import catalogue
 
 NAMES = [
+    "perm_hash",
     "perm_hash_million",
     "perm_hash_above_power",
     "normalized_time",
